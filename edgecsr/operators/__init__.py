@@ -1,0 +1 @@
+"""operators of the edge-list and CSR engine."""

@@ -1,0 +1 @@
+"""plans of the edge-list and CSR engine."""

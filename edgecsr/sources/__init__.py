@@ -1,0 +1 @@
+"""sources of the edge-list and CSR engine."""

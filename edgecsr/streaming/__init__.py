@@ -1,0 +1 @@
+"""streaming of the edge-list and CSR engine."""
