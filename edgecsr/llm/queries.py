@@ -4,17 +4,52 @@ from __future__ import annotations
 
 import public_tokenizers
 
+from edgecsr.llm import exact_topk, hnsw, quality, toxicity
 from edgecsr.llm.bpe_transducer import encode_documents
 from edgecsr.llm.common import read
+from edgecsr.llm.html_extract import extract_pages
+from edgecsr.llm.packing import pack
+
+
+def op1_toxicity_chain(spark, sf_dir):
+    docs = read(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.train(docs, read(spark, sf_dir, "labels")))
+
+
+def op3_quality_cotraining(spark, sf_dir):
+    docs = read(spark, sf_dir, "documents")
+    return quality.score(docs, quality.train(docs, read(spark, sf_dir, "labels")))
+
+
+def op5_html_tree_scoring(spark, sf_dir):
+    return extract_pages(read(spark, sf_dir, "pages"))
 
 
 def op7_byte_bpe(spark, sf_dir):
     return encode_documents(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op8_complement_packing(spark, sf_dir):
+    return pack(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"))
+
+
+def op9_sorted_list_topk(spark, sf_dir):
+    return exact_topk.search(read(spark, sf_dir, "embeddings"))
+
+
+def op10_hnsw(spark, sf_dir):
+    return hnsw.nearest(read(spark, sf_dir, "embeddings"))
+
+
 def queries():
     return {
+        "op1_toxicity_chain": op1_toxicity_chain,
+        "op3_quality_cotraining": op3_quality_cotraining,
+        "op5_html_tree_scoring": op5_html_tree_scoring,
         "op7_byte_bpe": op7_byte_bpe,
+        "op8_complement_packing": op8_complement_packing,
+        "op9_sorted_list_topk": op9_sorted_list_topk,
+        "op10_hnsw": op10_hnsw,
     }
 
 
