@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from edgecsr.llm import exact_topk, hnsw, quality, toxicity
+from edgecsr.llm import dart_minhash, exact_topk, hnsw, log_bilinear, quality, toxicity
 from edgecsr.llm.bpe_transducer import encode_documents
 from edgecsr.llm.common import read
 from edgecsr.llm.html_extract import extract_pages
@@ -16,6 +16,10 @@ def op1_toxicity_chain(spark, sf_dir):
     return toxicity.score(docs, toxicity.train(docs, read(spark, sf_dir, "labels")))
 
 
+def op2_dart_minhash(spark, sf_dir):
+    return dart_minhash.classes(read(spark, sf_dir, "documents"))
+
+
 def op3_quality_cotraining(spark, sf_dir):
     docs = read(spark, sf_dir, "documents")
     return quality.score(docs, quality.train(docs, read(spark, sf_dir, "labels")))
@@ -25,6 +29,10 @@ def op5_html_tree_scoring(spark, sf_dir):
     return extract_pages(read(spark, sf_dir, "pages"))
 
 
+def op6_log_bilinear(spark, sf_dir):
+    return log_bilinear.score(read(spark, sf_dir, "documents"))
+
+
 def op7_byte_bpe(spark, sf_dir):
     return encode_documents(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
@@ -44,8 +52,10 @@ def op10_hnsw(spark, sf_dir):
 def queries():
     return {
         "op1_toxicity_chain": op1_toxicity_chain,
+        "op2_dart_minhash": op2_dart_minhash,
         "op3_quality_cotraining": op3_quality_cotraining,
         "op5_html_tree_scoring": op5_html_tree_scoring,
+        "op6_log_bilinear": op6_log_bilinear,
         "op7_byte_bpe": op7_byte_bpe,
         "op8_complement_packing": op8_complement_packing,
         "op9_sorted_list_topk": op9_sorted_list_topk,
