@@ -1,11 +1,67 @@
-"""The corpus pipeline: stages from raw documents to packed sequences."""
+"""The corpus pipeline: from raw documents to packed sequences, stage by stage.
 
-STAGES = []
+Every stage takes all that its predecessor kept. Rows whose doc_id is null are
+judged like others where a stage needs no id and pass where it does.
+"""
+
+from __future__ import annotations
+
+import public_tokenizers
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from edgecsr.llm import dart_minhash, packing, quality, suffix_array, toxicity
+from edgecsr.llm.common import materialize, read
+
+
+def reject_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier chain does not call toxic."""
+    chain = toxicity.train(docs, read(spark, sf_dir, "labels"))
+    return toxicity.score(docs, chain, docs.columns).where(~F.col("toxic")).select(docs.columns)
+
+
+def reject_low_quality(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the two co-trained views together call good."""
+    model = quality.train(docs, read(spark, sf_dir, "labels"))
+    return quality.score(docs, model, docs.columns).where("keep").select(docs.columns)
+
+
+def drop_near_duplicates(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates: the one with the least id; of repeated rows one."""
+    found = dart_minhash.classes(docs)
+    others = found.where(F.col("class_id") != F.col("doc_id")).select("doc_id").distinct()
+    kept = docs.join(others, "doc_id", "left_anti").select(docs.columns)
+    if docs.where(F.col("doc_id").isNotNull()).groupBy("doc_id").count().where("count > 1").isEmpty():
+        return kept
+    return kept.where(F.col("doc_id").isNotNull()).dropDuplicates(["doc_id"]).unionByName(kept.where(F.col("doc_id").isNull()))
+
+
+def cut_repeats(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without the byte strings that also start in a document of smaller id; n_chars follows the text."""
+    shorter = suffix_array.remove_repeats(docs, with_text=True).where("n_removed > 0").select("doc_id", F.col("kept_text")).dropDuplicates(["doc_id"])
+    joined = docs.join(shorter, "doc_id", "left").withColumn("text", F.coalesce("kept_text", "text"))
+    return joined.withColumn("n_chars", F.when(F.col("kept_text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long"))).select(docs.columns)
+
+
+def pack_sequences(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all texts, packed into sequences of 1024 tokens."""
+    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"))
+
+
+STAGES = [
+    ("toxicity", reject_toxic),
+    ("quality", reject_low_quality),
+    ("near_dedup", drop_near_duplicates),
+    ("suffix_dedup", cut_repeats),
+    ("packing", pack_sequences),
+]
+
+#: Trained models and signatures have no SQL; tests/llm compares the stages with brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+def run(spark, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = materialize(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)
