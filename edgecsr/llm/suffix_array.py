@@ -138,7 +138,7 @@ def part_of(doc: np.ndarray, parts: int) -> np.ndarray:
     return (mix(doc.astype(np.int64).view(np.uint64)) % np.uint64(parts)).astype(np.int64)
 
 
-COVERED, REGION = ["i8", "i4", "i4"], ["i8", "u8", "i8", "i4", "i4", "i4"]  # doc, start, windows; + anchor, hash, anchor's place
+COVERED = ["i8", "i4", "i4"]  # document, first window, windows
 MOVED = "to int, kind int, blob binary"
 _TEXTS, _SETTLED, _OPEN = 0, 1, 2
 
@@ -336,9 +336,6 @@ def _by_document(table: pa.Table, kind: int, kinds: list) -> tuple[dict[int, tup
     return {int(cols[0][h]): (int(h), int(e)) for h, e in zip(heads, ends)}, cols
 
 
-RUN_KINDS = ["u8", "i8", "i4", "i4", f"S{LENGTH + RUN}"]
-
-
 def _runs(texts_and_open: DataFrame, buckets: int, length: int) -> DataFrame:
     """Open regions as runs of windows at fixed places before their anchor, dealt by what a run's windows share."""
     wide = length + RUN - 1
@@ -361,12 +358,12 @@ def _runs(texts_and_open: DataFrame, buckets: int, length: int) -> DataFrame:
                 size = np.diff(np.append(heads, n))
                 first, anchor = window[heads], window[heads] + ahead[heads]
                 core = anchor - (ahead[heads] // RUN) * RUN  # the latest place at which a window of this run may begin
-                text = np.frombuffer(data, np.uint8)
-                sums = Hashes(text) if len(text) < BATCH_BYTES else None
-                core_end = core - (RUN - 1) + length
-                keys = sums.of(core, core_end) if sums else np.array([int.from_bytes(hashlib.blake2b(data[c:d], digest_size=8).digest(), "little") for c, d in zip(core, core_end)], np.uint64)
+                padded = np.concatenate([np.frombuffer(data, np.uint8), np.zeros(wide, np.uint8)])
+                shared = length - (RUN - 1)  # bytes that all windows of a run have in common
+                keys = np.empty(len(heads), np.uint64)
+                for i in range(0, len(heads), 50_000):
+                    keys[i : i + 50_000] = (padded[core[i : i + 50_000, None] + np.arange(shared)].astype(np.uint64) + np.uint64(1)) @ powers(shared, _BASE)
                 keys = mix(keys + (ahead[heads] // RUN).astype(np.uint64))
-                padded = np.concatenate([text, np.zeros(wide, np.uint8)])
                 body = padded[first[:, None] + np.arange(wide)]
                 body[np.arange(wide) >= (size + length - 1)[:, None]] = 0
                 found.append((keys, np.full(len(first), doc), first.astype("i4"), size.astype("i4"), np.hstack([body, np.ones((len(body), 1), np.uint8)]).view(f"S{wide + 1}").ravel()))
