@@ -71,3 +71,25 @@ def from_blocks(blocks: DataFrame) -> DataFrame:
     slot = F.col("base_offset") + F.col("pos")
     owner = F.col("base_vertex") + F.size(F.filter("offsets", lambda o: o <= slot)) - 1
     return placed.select(slot.alias("slot"), owner.alias("vertex"), F.col("e.targets").alias("target"), F.col("e.weights").alias("weight"))
+
+
+def map_blocks(blocks: DataFrame, kernel, schema: str) -> DataFrame:
+    """``kernel(base_vertex, offsets, targets, weights)`` on the numpy arrays of every block; it returns the columns of ``schema``."""
+    names = [c.split()[0] for c in schema.split(", ")]
+
+    def run(batches):
+        for batch in batches:
+            for r in range(batch.num_rows):
+                row = {c: batch.column(i)[r] for i, c in enumerate(batch.schema.names)}
+                base = row["base_offset"].as_py()
+                arrays = (np.asarray(row[c].as_py(), t) for c, t in (("offsets", np.int64), ("targets", np.int64), ("weights", np.float32)))
+                offsets, targets, weights = arrays
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in kernel(row["base_vertex"].as_py(), offsets - base, targets, weights)], names)
+
+    return blocks.mapInArrow(run, schema)
+
+
+def row_sums(base_vertex, offsets, targets, weights):
+    """Kernel: the weights of each vertex of a block, added up."""
+    sums = np.concatenate([[0.0], np.cumsum(weights.astype(np.float64))])
+    return base_vertex + np.arange(len(offsets) - 1), sums[offsets[1:]] - sums[offsets[:-1]]

@@ -35,7 +35,7 @@ def sweep_readers(spark, sf_dir, g="supp_part", runs=5):
 
 
 def sweep_block_bytes(spark, sf_dir, g="supp_part", sizes=(4096, 16384, 65536, 262144, 1048576, 4194304), runs=3):
-    path = "file://" + exported(spark, sf_dir, g).removeprefix("file://")
+    path = exported(spark, sf_dir, g)
     return _all(spark, "block_bytes", g, {str(b): lambda b=b: read_edges(spark, path, source="blocks", block_bytes=b).edges for b in sizes}, runs)
 
 
@@ -89,3 +89,13 @@ def compare_degree_shapes(spark, sf_dir, graphs=("order_chain", "order_part", "p
 def convert_in_memory(spark, sf_dir, g="supp_part", runs=5):
     e = Graph(graph(spark, sf_dir, g), GraphMeta())
     return _all(spark, "in_memory", g, {"sorted": lambda: build_sorted(e).slots, "staged": lambda: build_staged(e).slots}, runs)
+
+
+def sweep_tasks(spark, sf_dir, g="supp_part", tasks=(1, 2, 4, 8), runs=3):
+    """Strong scaling inside one session: the same read and the same build on ever more tasks."""
+    path = exported(spark, sf_dir, g, files=max(tasks))
+    out = []
+    for t in tasks:
+        named = {f"edge_list@{t}": lambda t=t: read_edges(spark, path).edges.coalesce(t), f"csr@{t}": lambda t=t: build_sorted(Graph(read_edges(spark, path).edges.coalesce(t), GraphMeta()), t).slots}
+        out.append(_all(spark, "scaling", g, named, runs))
+    return reduce(DataFrame.union, out)

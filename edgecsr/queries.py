@@ -387,6 +387,12 @@ def csr_packed_exploded(spark, sf_dir):
     return p.select(F.posexplode("targets").alias("slot", "target")).select(F.col("slot").cast("long").alias("slot"), "target")
 
 
+@query(f"select src as vertex, sum(weight) as value from ({G['part_supp']}) group by 1")
+def csr_block_kernel(spark, sf_dir):
+    blocks = csr_forms.to_blocks(C.build_csr(graph_of(spark, sf_dir, "part_supp"), "sorted"), 128)
+    return csr_forms.map_blocks(blocks, csr_forms.row_sums, "vertex long, value double").where("value > 0")
+
+
 @query(slot_sql("part_supp"))
 def csr_from_adjacency(spark, sf_dir):
     return slots_out(csr_forms.from_adjacency(csr_forms.to_segments(C.build_csr(graph_of(spark, sf_dir, "part_supp"), "staged"), 8)))

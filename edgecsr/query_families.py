@@ -243,9 +243,9 @@ _on("adjacency_map_exploded", "order_part", "select src, dst, max(weight) as wei
 _on("array_functions", "order_part", "select src, list_sum(list(dst))::bigint as total, len(list_filter(list(dst), lambda x: x % 2 = 0)) as even, list_distinct(list(dst)).len() as kinds from {e} group by 1", lambda e: e.groupBy("src").agg(F.collect_list("dst").alias("l")).select("src", F.aggregate("l", F.lit(0).cast("long"), lambda s, x: s + x).alias("total"), F.size(F.filter("l", lambda x: x % 2 == 0)).cast("long").alias("even"), F.size(F.array_distinct("l")).cast("long").alias("kinds")))
 
 
-@query("select date_trunc('hour', ts) as hour, count(*) as n, sum(value) as total from events group by 1")
+@query("select date_trunc('hour', ts) as hour, count(*) as n, round(sum(value), 4) as total from events group by 1")
 def events_per_hour(spark, sf_dir):
-    return W.table(spark, sf_dir, "events").groupBy(F.date_trunc("hour", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("hour")).agg(F.count("*").alias("n"), F.sum("value").alias("total"))
+    return W.table(spark, sf_dir, "events").groupBy(F.date_trunc("hour", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("hour")).agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total"))
 
 
 @query("select item_id, i::int as pos, substring(text, i::int + 1, 8) as kmer from (select item_id, text, unnest(range(0, length(text) - 7)) as i from benchmark)")
@@ -295,12 +295,12 @@ def stream_degree_state(spark, sf_dir):
     return out.groupBy("vertex").agg(F.max("degree").alias("degree"))
 
 
-@query("select time_bucket(interval 10 minutes, ts) as start, event_type, count(*) as n_edges, sum(value) as total from events group by all")
+@query("select time_bucket(interval 10 minutes, ts) as start, event_type, count(*) as n_edges, round(sum(value), 4) as total from events group by all")
 def stream_tumbling(spark, sf_dir):
     return S.run_to_table(S.windowed_edges(S.read_events(spark, sf_dir), "10 minutes"), "complete")
 
 
-@query("select w as start, event_type, count(*) as n_edges, sum(value) as total from (select *, unnest([time_bucket(interval 10 minutes, ts), time_bucket(interval 10 minutes, ts) - interval 10 minutes]) as w from events) group by all")
+@query("select w as start, event_type, count(*) as n_edges, round(sum(value), 4) as total from (select *, unnest([time_bucket(interval 10 minutes, ts), time_bucket(interval 10 minutes, ts) - interval 10 minutes]) as w from events) group by all")
 def stream_sliding(spark, sf_dir):
     return S.run_to_table(S.windowed_edges(S.read_events(spark, sf_dir), "20 minutes", "10 minutes"), "complete")
 
@@ -347,6 +347,8 @@ for _name, _fn in (
     ("workload_lines", tune.sweep_lines),
     ("workload_shapes", tune.compare_degree_shapes),
     ("workload_in_memory", tune.convert_in_memory),
+    ("workload_block_bytes", tune.sweep_block_bytes),
+    ("workload_scaling", tune.sweep_tasks),
 ):
     query(None, _name)(lambda spark, sf_dir, fn=_fn: fn(spark, sf_dir, runs=1))
 

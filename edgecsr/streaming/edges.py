@@ -32,7 +32,7 @@ def incremental_degrees(edges: DataFrame) -> DataFrame:
 
 def windowed_edges(events: DataFrame, size: str, slide: str | None = None) -> DataFrame:
     w = F.window("ts", size, slide) if slide else F.window("ts", size)
-    return events.groupBy(w.alias("w"), "event_type").agg(F.count("*").alias("n_edges"), F.sum("value").alias("total")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "event_type", "n_edges", "total")
+    return events.groupBy(w.alias("w"), "event_type").agg(F.count("*").alias("n_edges"), F.round(F.sum("value"), 4).alias("total")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "event_type", "n_edges", "total")
 
 
 def session_edges(events: DataFrame, gap: str) -> DataFrame:
