@@ -27,46 +27,52 @@ class SortedLists:
 
     def __init__(self, ids: np.ndarray, m: np.ndarray):
         self.m, self.ids = distinct_rows(ids, m)
-        self.order = np.argsort(self.m, axis=0, kind="stable").T.astype(np.int32) if len(self.m) else np.zeros((m.shape[1], 0), np.int32)
+        low_first = np.argsort(self.m, axis=0, kind="stable")
+        self.order = np.ascontiguousarray(low_first.T)
+        self.values = np.ascontiguousarray(np.take_along_axis(self.m, low_first, 0).T).astype(float)
 
-    def top(self, q: np.ndarray, k: int, own: int, first_step: int = 64) -> list[tuple[int, int]]:
+    def _read(self, lists: np.ndarray, up: bool, depth: int, take: int) -> tuple[np.ndarray, np.ndarray]:
+        """The next ``take`` entries of some lists, from their low (``up``) or their high end."""
+        n = len(self.m)
+        part = slice(depth, depth + take) if up else slice(n - depth - take, n - depth)
+        rows, values = self.order[lists, part], self.values[lists, part]
+        return (rows, values) if up else (rows[:, ::-1], values[:, ::-1])
+
+    def top(self, q: np.ndarray, k: int, own: int) -> list[tuple[int, int]]:
         """(score, id) of the k best but ``own``, best first, ties to the smaller id."""
         n = len(self.m)
         if not n:
             return []
-        active = np.flatnonzero(q)
-        want = k + 1  # the query's own row may be among them
-        known, unread = np.zeros(n, np.int64), np.ones((n, len(active)), bool)
-        # as floats for the matrix product; exact, as sums stay far below 2**53 or are widened by a margin
-        ends = np.array([(self.m[self.order[j][-1], j], self.m[self.order[j][0], j]) for j in active]).reshape(-1, 2)
-        worst = np.minimum(ends[:, 0] * q[active], ends[:, 1] * q[active]).astype(float)
-        depth, step = 0, first_step
-        left = np.arange(n)
-        while depth < n and len(active):
+        want = k + 1  # the query's own vector may be among them
+        ends = [np.flatnonzero(q < 0), np.flatnonzero(q > 0)]  # read upwards, downwards
+        lists = np.concatenate(ends)
+        weight = q[lists].astype(float)
+        worst = np.where(weight < 0, self.values[lists, -1], self.values[lists, 0]) * weight
+        known, unread = np.zeros(n), np.ones((n, len(lists)), np.float32)
+        columns = np.arange(len(lists))[:, None]
+        # sums of integers are exact below 2**53; the single-precision bounds get a margin
+        margin = 1.0 + 1e-5 * float((np.abs(weight) * np.abs(self.values[lists]).max(1, initial=0)).sum())
+        depth, step, left = 0, max(64, n // 16), np.arange(n)
+        while depth < n and len(lists) and n > want:
             take = min(step, n - depth)
-            front = np.empty(len(active))
-            for a, j in enumerate(active):
-                rows = self.order[j][n - depth - take : n - depth] if q[j] > 0 else self.order[j][depth : depth + take]
-                values = self.m[rows, j] * q[j]
-                known[rows] += values
-                unread[rows, a] = False
-                front[a] = values.min()
-            depth += take
-            step *= 2
-            lower, upper = known + unread @ worst, known + unread @ front
-            if n > want:
-                bar = np.partition(lower, n - want)[n - want]
-                left = np.flatnonzero(upper >= bar - 1e-6 * abs(bar) - 0.5)
-                if len(left) <= 4 * want:
-                    break
+            read = [self._read(of, up, depth, take) for of, up in zip(ends, (True, False))]
+            rows, values = (np.concatenate([r[i] for r in read]) for i in range(2))
+            values = values * weight[:, None]
+            known += np.bincount(rows.ravel(), values.ravel(), n)
+            unread[rows, columns] = 0
+            depth, step = depth + take, max(64, n // 8)
+            bounds = unread @ np.stack([worst, values[:, -1]], 1).astype(np.float32)
+            lower = known + bounds[:, 0] - margin
+            bar = np.partition(lower, n - want)[n - want]
+            left = np.flatnonzero(known + bounds[:, 1] + margin >= bar)
+            if len(left) <= 4 * want:
+                break
         scores = self.m[left] @ q
-        found = []
-        for i in np.lexsort((left, -scores)):
+        found: list[tuple[int, int]] = []
+        for i in np.argsort(-scores, kind="stable"):
             if len(found) >= k and scores[i] < found[k - 1][0]:
                 break
-            for v in self.ids[left[i]][: k + 1]:
-                if v != own:
-                    found.append((int(scores[i]), int(v)))
+            found += [(int(scores[i]), int(v)) for v in self.ids[left[i]][: k + 1] if v != own]
             found.sort(key=lambda x: (-x[0], x[1]))
         return found[:k]
 
