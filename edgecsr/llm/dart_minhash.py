@@ -27,7 +27,7 @@ WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 32, 5
 #: Estimated similarity below which a pair is not looked at: 5 deviations under the threshold.
 LEAST_ESTIMATE = 0.64
-#: Members of a bucket that are compared with all others of it in one round.
+#: Members of a bucket that are compared with all others of it in the first round; four times as many in each later one.
 LEADERS = 6
 _LOW = 6  # ranks below 2**-_LOW are one cell, then cells double up to rank 1, then each has length 1
 
@@ -202,10 +202,11 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     if their sets are equal, else the row with each set is classed.
 
     Copies are folded to one representative before anything is paired. In
-    every round each bucket compares a few of its members with all others of
-    it; those members are then done with there, and a bucket is done when its
-    members are all of one class. So every two representatives of a bucket
-    have been compared or are linked already, without ever emitting all pairs.
+    every round each bucket compares some of its members (a few first, then
+    more) with those of other classes in it; they are then done with there,
+    and a bucket is done when its members are all of one class. So every two
+    representatives of a bucket have been compared or are linked already, and
+    a crowd of near copies is linked after the first few comparisons of each.
     """
     rows = materialize(signed(docs, words, counts), "signed")
     folded = rows.groupBy("digest").agg(F.min("doc_id").alias("id"))
@@ -218,27 +219,24 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     signatures = materialize(reps.select("id", "signature").dropDuplicates(["id"]).join(candidates, "id"), "signatures")
     texts = documents_only(docs).withColumnRenamed("doc_id", "id").join(candidates, "id").dropDuplicates(["id"])
     texts = materialize(texts, "texts")
-    links = tested = None
-    turn = 0
+    links = label = None
+    buckets, leaders_each, turn = buckets.withColumn("label", F.col("id")), LEADERS, 0
     while not buckets.isEmpty():
         order = [F.col("id")] if not turn else [F.xxhash64("id", F.lit(turn)), F.col("id")]
         ranked = buckets.withColumn("_r", F.row_number().over(Window.partitionBy("bucket").orderBy(*order)))
-        leaders = materialize(ranked.where(F.col("_r") <= LEADERS).select("bucket", F.col("id").alias("leader")), "leaders")
-        pairs = buckets.join(leaders, "bucket").where("id <> leader").select(F.greatest("id", "leader").alias("id"), F.least("id", "leader").alias("leader")).distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["leader", "id"], "left_anti")
-        pairs = materialize(pairs, "pairs")
-        tested = pairs if tested is None else tested.union(pairs)
-        near = materialize(_estimated(pairs, signatures), "near")
-        found = materialize(_verified(near, texts, words, counts, threshold), "found")
-        links = found if links is None else links.union(found)
-        label = components(links)
-        left = buckets.join(leaders.withColumnRenamed("leader", "id"), ["bucket", "id"], "left_anti")
-        # leaders that are done still tell of which class a bucket's rest is: only several classes in the rest need work
-        classed = left.join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
-        mixed = classed.groupBy("bucket").agg(F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h").select("bucket")
+        leaders = materialize(ranked.where(F.col("_r") <= leaders_each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with")), "leaders")
+        met = buckets.join(leaders, "bucket").where("label <> _with")
+        pairs = met.select(F.greatest("id", "leader").alias("id"), F.least("id", "leader").alias("leader")).distinct()
+        found = materialize(_verified(_estimated(pairs, signatures), texts, words, counts, threshold), "found")
+        left = buckets.join(leaders.select("bucket", F.col("leader").alias("id")), ["bucket", "id"], "left_anti")
+        if not found.isEmpty():
+            links = found if links is None else links.union(found)
+            label = components(links)
+            left = left.drop("label").join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
+        left = materialize(left.select("bucket", "id", "label"), "left")
+        mixed = left.groupBy("bucket").agg(F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h").select("bucket")
         buckets = materialize(left.join(mixed, "bucket"), "buckets")
-        turn += 1
+        turn, leaders_each = turn + 1, leaders_each * 4
     members = rows.select("doc_id", "digest").distinct().join(folded, "digest").select("doc_id", F.col("id").alias("same_set_id"))
     if links is None:
         return members.select("doc_id", "same_set_id", F.col("same_set_id").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
