@@ -6,13 +6,16 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udf, udtf
+from pyspark.sql.types import DoubleType, IntegerType, StringType, StructField, StructType
 
 from edgecsr.functions.parse import parse_buffer
+from edgecsr.schema import EDGE
 
-ROW = "src long, dst long, weight float"
+# types as objects: strings would need a session when this module is imported
+KMER = StructType([StructField("pos", IntegerType()), StructField("kmer", StringType())])
 
 
-@udf(returnType=ROW)
+@udf(returnType=EDGE)
 def parse_edge_row(line):
     """One line at a time: the slow way, for comparison."""
     src, dst, w = parse_buffer((line or "").encode(), True, 0)
@@ -24,7 +27,7 @@ def _parse_edges(lines: pd.Series) -> pd.DataFrame:
     return pd.DataFrame({"src": pd.to_numeric(t[0], errors="coerce").astype("Int64"), "dst": pd.to_numeric(t[1], errors="coerce").astype("Int64"), "weight": pd.to_numeric(t[2], errors="coerce").fillna(1.0).astype("float32")})
 
 
-parse_edge_arrow = pandas_udf(_parse_edges, ROW, F.PandasUDFType.SCALAR)
+parse_edge_arrow = pandas_udf(_parse_edges, EDGE, F.PandasUDFType.SCALAR)
 
 
 def _gini(degree: pd.Series) -> float:
@@ -33,10 +36,10 @@ def _gini(degree: pd.Series) -> float:
     return float((2 * np.arange(1, n + 1) - n - 1) @ d / (n * total)) if total else 0.0
 
 
-degree_gini = pandas_udf(_gini, "double", F.PandasUDFType.GROUPED_AGG)
+degree_gini = pandas_udf(_gini, DoubleType(), F.PandasUDFType.GROUPED_AGG)
 
 
-@udtf(returnType="pos int, kmer string")
+@udtf(returnType=KMER)
 class Kmers:
     """All windows of k characters."""
 
