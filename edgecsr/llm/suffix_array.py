@@ -35,10 +35,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from edgecsr.llm.common import documents_only, materialize
+from edgecsr.llm.common import documents_only, materialize, release
 from edgecsr.llm.shingles import mix, powers
 
-LENGTH, ANCHOR, RUN = 50, 16, 4
+LENGTH, ANCHOR, RUN = 50, 16, 8
 #: Bytes of text in a group of documents, and in a batch of anchors.
 GROUP_BYTES, BATCH_BYTES = 8 << 20, 2 << 20
 _BASE = np.uint64(0xD1342543DE82EF95)
@@ -473,6 +473,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
     total = slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     groups = max(64, int(total // GROUP_BYTES))
     settled_or_open = materialize(_met(_anchored(slim, groups, groups, length), groups), "regions")
+    release(docs.sparkSession)
     texts = _texts(slim, groups)
     covered = materialize(_sorted_shards(_runs(texts.union(settled_or_open.where(F.col("kind") == _OPEN)), groups, length), groups, length), "runs")
+    release(docs.sparkSession)
     return _kept(texts.union(settled_or_open.where(F.col("kind") == _SETTLED)).union(covered), length, with_text)
