@@ -112,7 +112,8 @@ def lexicon_of(counts: DataFrame) -> tuple[Lexicon, dict[bytes, int], np.ndarray
 
     Only the head and per-class sums reach the driver; both are bounded.
     """
-    head = [(bytes(r[0]), r[1]) for r in counts.orderBy(F.col("n").desc(), "token").limit(HEAD).collect()]
+    top = counts.orderBy(F.col("n").desc(), "token").limit(HEAD).toArrow()
+    head = list(zip(top.column("token").to_pylist(), top.column("n").to_pylist()))
     first = [w for w, _ in head[: SINGLES - 1]]
     singles = {w: i for i, w in enumerate([END, *[w for w in first if w != END]][:SINGLES])}
     sums: Counter = Counter()
@@ -219,8 +220,8 @@ def score(docs: DataFrame) -> DataFrame:
     counts = materialize(word_counts(train), "word_counts")
     n_all, v_all = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     lexicon, head, head_log, mass = lexicon_of(counts)
-    found = triple_counts(train, lexicon).toPandas()  # CLASSES**3 rows at most
-    table = train_vectors(found["cell"].to_numpy(np.int64), found["n"].to_numpy(float), mass)
+    found = triple_counts(train, lexicon).toArrow()  # CLASSES**3 rows at most
+    table = train_vectors(found.column("cell").to_numpy().astype(np.int64), found.column("n").to_numpy().astype(float), mass)
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast((table, np.log10(mass)))  # CLASSES**3 numbers, whatever the input
     known_words = spark.sparkContext.broadcast((head, head_log))  # HEAD words at most
