@@ -28,7 +28,9 @@ BANDS, ROWS = 32, 5
 #: Estimated similarity below which a pair is not looked at: 5 deviations under the threshold.
 LEAST_ESTIMATE = 0.64
 #: Members of a bucket that are compared with all others of it in the first round; four times as many in each later one.
-LEADERS = 6
+LEADERS = 2
+#: Keys of finer buckets that are written as one batch.
+KEYS = 500_000
 _LOW = 6  # ranks below 2**-_LOW are one cell, then cells double up to rank 1, then each has length 1
 
 
@@ -173,6 +175,54 @@ def _verified(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, thre
     return joined.mapInArrow(run, "leader long, id long")
 
 
+def _refined(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, threshold: float) -> DataFrame:
+    """Finer buckets (bucket, id, label, size, most) for members of buckets that have ``pivot`` as their first leader.
+
+    Shingles are put in one order for all that share a pivot: those that the
+    pivot lacks, then its own. A member gets a bucket for each shingle of its
+    head, with its whole weight ``size`` and the ``most`` that a partner may
+    weigh if this is their first common shingle: all they share is in the rest
+    from there on, and must be threshold / (1 + threshold) of both weights.
+    The head ends where no partner is light enough to be similar. Two similar
+    sets thus meet in the bucket of their first common shingle, each within
+    the other's ``most``. In a crowd around a pivot heads are mostly made of
+    what sets a member apart.
+    """
+    own = texts.select(F.col("id"), F.col("text").alias("_a"))
+    other = texts.select(F.col("id").alias("pivot"), F.col("text").alias("_b"))
+    joined = pairs.join(own, "id").join(other, "pivot").select("pivot", "id", "label", "_a", "_b")
+    names = ["bucket", "id", "label", "size", "most"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+        size, last = 0, (None, None)
+
+        def flush():
+            times = [len(h[0]) for h in held]
+            cols = [np.concatenate([h[0] for h in held]).view(np.int64), *(np.repeat(np.array([h[i] for h in held]), times) for i in (1, 2, 3)), np.concatenate([h[4] for h in held])]
+            return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names)
+
+        for batch in batches:
+            for pivot, doc, label, a, b in zip(*(batch.column(i).to_pylist() for i in range(3)), batch.column(3), batch.column(4)):
+                if last[0] != pivot:
+                    last = (pivot, weighted(b.as_py() or "", words, counts)[0])
+                found, weights = weighted(a.as_py() or "", words, counts)
+                order = np.lexsort((found, np.isin(found, last[1], assume_unique=True)))
+                rest = np.cumsum(weights[order][::-1])[::-1]
+                size_of = float(weights.sum())
+                most = rest * (1 + threshold) / threshold - size_of + 1e-6
+                head = found[order][most >= threshold * size_of]
+                held.append((mix(head ^ mix(np.array([pivot], np.int64).view(np.uint64))), doc, label, size_of, most[: len(head)]))
+                size += len(head)
+                if size >= KEYS:
+                    yield flush()
+                    held, size = [], 0
+        if held:
+            yield flush()
+
+    return joined.mapInArrow(run, "bucket long, id long, label long, size double, most double")
+
+
 def components(links: DataFrame) -> DataFrame:
     """id, label of every end of ``links`` (leader, id): the least id that it is linked with, over any number of links.
 
@@ -202,30 +252,33 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     if their sets are equal, else the row with each set is classed.
 
     Copies are folded to one representative before anything is paired. In
-    every round each bucket compares some of its members (a few first, then
-    more) with those of other classes in it; they are then done with there,
-    and a bucket is done when its members are all of one class. So every two
-    representatives of a bucket have been compared or are linked already, and
-    a crowd of near copies is linked after the first few comparisons of each.
+    every round each bucket compares some of its members (first the few that
+    meet most others, then more) with those of other classes in it; they are
+    then done with there, and a bucket is done when its members are all of one
+    class. After the first round the members of buckets that are not done are
+    dealt into finer ones, which keep every two that can be similar together.
+    So every two representatives of a band's bucket have been compared, cannot
+    be similar or are linked already.
     """
     rows = materialize(signed(docs, words, counts), "signed")
     folded = rows.groupBy("digest").agg(F.min("doc_id").alias("id"))
     reps = rows.withColumnRenamed("doc_id", "id").join(folded, ["digest", "id"], "left_semi").dropDuplicates(["id", "digest"])
     reps = materialize(reps.select("id", "digest", "signature", "bands"), "representatives")
     in_bands = reps.select("id", F.explode("bands").alias("bucket"))
-    shared = in_bands.groupBy("bucket").agg(F.min("id").alias("_l"), F.max("id").alias("_h")).where("_l < _h").select("bucket")
-    buckets = materialize(in_bands.join(shared, "bucket"), "buckets")
+    shared = in_bands.groupBy("bucket").agg(F.min("id").alias("_l"), F.max("id").alias("_h"), F.count("*").alias("_n")).where("_l < _h").select("bucket", "_n")
+    company = F.sum("_n").over(Window.partitionBy("id")).alias("company")  # how many others a member meets: most at the middle of a crowd
+    buckets = materialize(in_bands.join(shared, "bucket").select("bucket", "id", company), "buckets")
     candidates = materialize(buckets.select("id").distinct(), "candidates")
     signatures = materialize(reps.select("id", "signature").dropDuplicates(["id"]).join(candidates, "id"), "signatures")
     texts = documents_only(docs).withColumnRenamed("doc_id", "id").join(candidates, "id").dropDuplicates(["id"])
     texts = materialize(texts, "texts")
     links = label = None
-    buckets, leaders_each, turn = buckets.withColumn("label", F.col("id")), LEADERS, 0
+    buckets, leaders_each, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), LEADERS, 0
     while not buckets.isEmpty():
-        order = [F.col("id")] if not turn else [F.xxhash64("id", F.lit(turn)), F.col("id")]
+        order = [F.col("company").desc(), F.col("id")] if not turn else [F.col("most").desc(), F.col("id")]
         ranked = buckets.withColumn("_r", F.row_number().over(Window.partitionBy("bucket").orderBy(*order)))
-        leaders = materialize(ranked.where(F.col("_r") <= leaders_each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with")), "leaders")
-        met = buckets.join(leaders, "bucket").where("label <> _with")
+        leaders = materialize(ranked.where(F.col("_r") <= leaders_each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r"), "leaders")
+        met = buckets.join(leaders, "bucket").where("label <> _with AND size <= _most AND _size <= most")
         pairs = met.select(F.greatest("id", "leader").alias("id"), F.least("id", "leader").alias("leader")).distinct()
         found = materialize(_verified(_estimated(pairs, signatures), texts, words, counts, threshold), "found")
         left = buckets.join(leaders.select("bucket", F.col("leader").alias("id")), ["bucket", "id"], "left_anti")
@@ -233,9 +286,11 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
             links = found if links is None else links.union(found)
             label = components(links)
             left = left.drop("label").join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
-        left = materialize(left.select("bucket", "id", "label"), "left")
-        mixed = left.groupBy("bucket").agg(F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h").select("bucket")
-        buckets = materialize(left.join(mixed, "bucket"), "buckets")
+        buckets = materialize(_mixed(materialize(left.select("bucket", "id", "label", "size", "most"), "left")), "buckets")
+        if not turn:
+            firsts = leaders.where("_r = 1").select("bucket", F.col("leader").alias("pivot"))
+            members = buckets.join(firsts, "bucket").select("pivot", "id", "label").distinct()
+            buckets = materialize(_mixed(materialize(_refined(members, texts, words, counts, threshold), "finer")), "buckets")
         turn, leaders_each = turn + 1, leaders_each * 4
     members = rows.select("doc_id", "digest").distinct().join(folded, "digest").select("doc_id", F.col("id").alias("same_set_id"))
     if links is None:
@@ -243,3 +298,11 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     ends = links.select(F.explode(F.array("leader", "id")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
     told = label.join(ends, "id").withColumnRenamed("id", "same_set_id")
     return members.join(told, "same_set_id", "left").select("doc_id", "same_set_id", F.coalesce("label", "same_set_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+
+
+def _mixed(members: DataFrame) -> DataFrame:
+    """Members that may be similar to one of another class in their bucket, by what they weigh and what their partners may weigh."""
+    reach = members.groupBy("bucket").agg(F.min("size").alias("_least"), F.max("most").alias("_widest"), F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h")
+    able = members.join(reach, "bucket").where("most >= _least AND size <= _widest").select(members.columns)
+    several = able.groupBy("bucket").agg(F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h").select("bucket")
+    return able.join(several, "bucket")
