@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from edgecsr.llm.common import documents_only, materialize
+from edgecsr.llm.common import Scratch, documents_only, materialize
 from edgecsr.llm.shingles import mix, similarity, weighted
 
 WORDS, THRESHOLD = 5, 0.8
@@ -223,20 +223,21 @@ def _refined(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, thres
     return joined.mapInArrow(run, "bucket long, id long, label long, size double, most double")
 
 
-def components(links: DataFrame) -> DataFrame:
+def components(links: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """id, label of every end of ``links`` (leader, id): the least id that it is linked with, over any number of links.
 
     Least labels spread to neighbours and then jump to their label's label, so
     rounds grow with the logarithm of a chain's length. Each round is written.
     """
-    both = materialize(links.selectExpr("leader as a", "id as b").union(links.selectExpr("id as a", "leader as b")).distinct(), "links")
+    keep = scratch.keep if scratch else materialize
+    both = keep(links.selectExpr("leader as a", "id as b").union(links.selectExpr("id as a", "leader as b")).distinct(), "links")
     labels = both.groupBy("a").agg(F.min("b").alias("_m")).select(F.col("a").alias("id"), F.least("a", "_m").alias("label"))
     while True:
-        labels = materialize(labels, "labels")
+        labels = keep(labels, "labels")
         near = both.join(labels.withColumnRenamed("id", "b"), "b").groupBy("a").agg(F.min("label").alias("_m"))
         met = labels.join(near.withColumnRenamed("a", "id"), "id").select("id", F.col("label").alias("_old"), F.least("label", "_m").alias("label"))
         jumped = met.join(met.select(F.col("id").alias("label"), F.col("label").alias("_up")), "label", "left").select("id", "_old", F.least(F.col("label"), F.coalesce("_up", "label")).alias("label"))
-        jumped = materialize(jumped, "labels")
+        jumped = keep(jumped, "labels")
         if jumped.where(F.col("label") != F.col("_old")).isEmpty():
             return jumped.select("id", "label")
         labels = jumped.select("id", "label")
@@ -260,44 +261,49 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     So every two representatives of a band's bucket have been compared, cannot
     be similar or are linked already.
     """
-    rows = materialize(signed(docs, words, counts), "signed")
+    scratch = Scratch(docs.sparkSession)
+    rows = scratch.keep(signed(docs, words, counts), "signed")
     folded = rows.groupBy("digest").agg(F.min("doc_id").alias("id"))
     reps = rows.withColumnRenamed("doc_id", "id").join(folded, ["digest", "id"], "left_semi").dropDuplicates(["id", "digest"])
-    reps = materialize(reps.select("id", "digest", "signature", "bands"), "representatives")
+    reps = scratch.keep(reps.select("id", "digest", "signature", "bands"), "representatives")
     in_bands = reps.select("id", F.explode("bands").alias("bucket"))
     shared = in_bands.groupBy("bucket").agg(F.min("id").alias("_l"), F.max("id").alias("_h"), F.count("*").alias("_n")).where("_l < _h").select("bucket", "_n")
     company = F.sum("_n").over(Window.partitionBy("id")).alias("company")  # how many others a member meets: most at the middle of a crowd
-    buckets = materialize(in_bands.join(shared, "bucket").select("bucket", "id", company), "buckets")
-    candidates = materialize(buckets.select("id").distinct(), "candidates")
-    signatures = materialize(reps.select("id", "signature").dropDuplicates(["id"]).join(candidates, "id"), "signatures")
+    buckets = scratch.keep(in_bands.join(shared, "bucket").select("bucket", "id", company), "buckets")
+    candidates = scratch.keep(buckets.select("id").distinct(), "candidates")
+    signatures = scratch.keep(reps.select("id", "signature").dropDuplicates(["id"]).join(candidates, "id"), "signatures")
     texts = documents_only(docs).withColumnRenamed("doc_id", "id").join(candidates, "id").dropDuplicates(["id"])
-    texts = materialize(texts, "texts")
+    texts = scratch.keep(texts, "texts")
     links = label = None
     buckets, leaders_each, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), LEADERS, 0
     while not buckets.isEmpty():
         order = [F.col("company").desc(), F.col("id")] if not turn else [F.col("most").desc(), F.col("id")]
         ranked = buckets.withColumn("_r", F.row_number().over(Window.partitionBy("bucket").orderBy(*order)))
-        leaders = materialize(ranked.where(F.col("_r") <= leaders_each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r"), "leaders")
+        leaders = scratch.keep(ranked.where(F.col("_r") <= leaders_each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r"), "leaders")
         met = buckets.join(leaders, "bucket").where("label <> _with AND size <= _most AND _size <= most")
         pairs = met.select(F.greatest("id", "leader").alias("id"), F.least("id", "leader").alias("leader")).distinct()
-        found = materialize(_verified(_estimated(pairs, signatures), texts, words, counts, threshold), "found")
+        found = scratch.keep(_verified(_estimated(pairs, signatures), texts, words, counts, threshold), "found")
         left = buckets.join(leaders.select("bucket", F.col("leader").alias("id")), ["bucket", "id"], "left_anti")
         if not found.isEmpty():
             links = found if links is None else links.union(found)
-            label = components(links)
+            label = components(links, scratch)
             left = left.drop("label").join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
-        buckets = materialize(_mixed(materialize(left.select("bucket", "id", "label", "size", "most"), "left")), "buckets")
+        buckets = scratch.keep(_mixed(scratch.keep(left.select("bucket", "id", "label", "size", "most"), "left")), "buckets")
         if not turn:
             firsts = leaders.where("_r = 1").select("bucket", F.col("leader").alias("pivot"))
             members = buckets.join(firsts, "bucket").select("pivot", "id", "label").distinct()
-            buckets = materialize(_mixed(materialize(_refined(members, texts, words, counts, threshold), "finer")), "buckets")
+            buckets = scratch.keep(_mixed(scratch.keep(_refined(members, texts, words, counts, threshold), "finer")), "buckets")
         turn, leaders_each = turn + 1, leaders_each * 4
     members = rows.select("doc_id", "digest").distinct().join(folded, "digest").select("doc_id", F.col("id").alias("same_set_id"))
     if links is None:
-        return members.select("doc_id", "same_set_id", F.col("same_set_id").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
-    ends = links.select(F.explode(F.array("leader", "id")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
-    told = label.join(ends, "id").withColumnRenamed("id", "same_set_id")
-    return members.join(told, "same_set_id", "left").select("doc_id", "same_set_id", F.coalesce("label", "same_set_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+        told = members.select("doc_id", "same_set_id", F.col("same_set_id").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
+    else:
+        ends = links.select(F.explode(F.array("leader", "id")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
+        linked = label.join(ends, "id").withColumnRenamed("id", "same_set_id")
+        told = members.join(linked, "same_set_id", "left").select("doc_id", "same_set_id", F.coalesce("label", "same_set_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    told = materialize(told, "classes")
+    scratch.drop()
+    return told
 
 
 def _mixed(members: DataFrame) -> DataFrame:
