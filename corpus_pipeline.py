@@ -45,7 +45,7 @@ def cut_repeats(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pack_sequences(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of all texts, packed into sequences of 1024 tokens."""
-    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"))
+    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), added=packing.added_tokens(public_tokenizers.path("byte_bpe_50k.json")))
 
 
 STAGES = [

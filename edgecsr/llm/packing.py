@@ -10,6 +10,7 @@ from its rank among the items of its length.
 from __future__ import annotations
 
 import base64
+import json
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -125,25 +126,36 @@ def places(plan: list[tuple[tuple[int, ...], int]]) -> dict[int, np.ndarray]:
     return {k: np.array(v, np.int64) for k, v in found.items()}
 
 
-def load_encoding(ranks_path: str) -> tiktoken.Encoding:
+def added_tokens(json_path: str) -> dict[str, int]:
+    """The added tokens of a ``tokenizers`` file, which are matched inside texts before anything else, with their ids."""
+    with open(json_path, encoding="utf-8") as f:
+        found = json.load(f)["added_tokens"]
+    for t in found:
+        if t["single_word"] or t["lstrip"] or t["rstrip"] or t["normalized"]:
+            raise ValueError(f"added token {t['content']!r}: only tokens that match as they stand are supported")
+    return {t["content"]: t["id"] for t in found}
+
+
+def load_encoding(ranks_path: str, added: dict[str, int] | None = None) -> tiktoken.Encoding:
     with open(ranks_path, "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    return tiktoken.Encoding("packing", pat_str=FAST_PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding("packing", pat_str=FAST_PATTERN, mergeable_ranks=ranks, special_tokens=added or {})
 
 
 PIECES = "row long, doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
-def pieces_of(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
+def pieces_of(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, end_id: int = END_ID, added: dict[str, int] | None = None) -> DataFrame:
     """Each text's ids and the end id, cut into pieces of ``capacity`` of which the first may be shorter."""
+    added = added or {}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = per_worker(("encoding", ranks_path), lambda: load_encoding(ranks_path)).encode_ordinary
+        encoding = per_worker(("encoding", ranks_path, *sorted(added.items())), lambda: load_encoding(ranks_path, added))
         number = count(TaskContext.get().partitionId() << 33)
         for batch in batches:
             out = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                ids = array("I", encode(text.as_py() or ""))
+                ids = array("I", encoding.encode(text.as_py() or "", allowed_special="all"))
                 ids.append(end_id)
                 packed, n = memoryview(ids.tobytes()), len(ids)
                 start, end = 0, n % capacity or capacity
@@ -157,13 +169,15 @@ def pieces_of(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, end_id
     return documents_only(docs).mapInArrow(run, PIECES)
 
 
-def pack(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
+def pack(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, end_id: int = END_ID, added: dict[str, int] | None = None) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece.
 
-    A null text counts as empty and yields the end id alone. Repeated rows are
+    ``added`` has the vocabulary's added tokens, which a rank file lacks; where
+    a text holds one literally it gets that id. Without them such text is split
+    into ordinary ids. A null text counts as empty and yields the end id alone. Repeated rows are
     packed each. A null doc_id stays null. No document gives no rows.
     """
-    pieces = materialize(pieces_of(docs, ranks_path, capacity, end_id), "pieces")
+    pieces = materialize(pieces_of(docs, ranks_path, capacity, end_id, added), "pieces")
     histogram = {r[0]: r[1] for r in pieces.groupBy("length").count().collect()}  # at most ``capacity`` rows
     place = places(plan_of(histogram, capacity))
     groups = max(1, sum(histogram.values()) // RANK_GROUP)

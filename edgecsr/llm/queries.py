@@ -9,7 +9,7 @@ from edgecsr.llm import dart_minhash, exact_topk, hnsw, log_bilinear, quality, t
 from edgecsr.llm.bpe_transducer import encode_documents
 from edgecsr.llm.common import read
 from edgecsr.llm.html_extract import extract_pages
-from edgecsr.llm.packing import pack
+from edgecsr.llm.packing import added_tokens, pack
 from edgecsr.llm.suffix_array import remove_repeats
 
 
@@ -44,7 +44,7 @@ def op7_byte_bpe(spark, sf_dir):
 
 
 def op8_complement_packing(spark, sf_dir):
-    return pack(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"))
+    return pack(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"), added=added_tokens(public_tokenizers.path("byte_bpe_50k.json")))
 
 
 def op9_sorted_list_topk(spark, sf_dir):
