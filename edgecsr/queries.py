@@ -398,6 +398,18 @@ def csr_from_adjacency(spark, sf_dir):
     return slots_out(csr_forms.from_adjacency(csr_forms.to_segments(C.build_csr(graph_of(spark, sf_dir, "part_supp"), "staged"), 8)))
 
 
+@query(slot_sql("supp_part"))
+def neighbors_of_all(spark, sf_dir):
+    csr = C.build_csr(graph_of(spark, sf_dir, "supp_part"), "sorted")
+    return slots_out(C.neighbors(csr, csr.vertices))
+
+
+@query(f"select vertex, \"offset\" as first_slot, \"offset\" + degree as end_slot from ({offset_sql('part_supp')}) where vertex < (select max(l_partkey) + 1 from lineitem)")
+def slot_range_all(spark, sf_dir):
+    csr = C.build_csr(graph_of(spark, sf_dir, "part_supp"), "staged")
+    return C.slot_range(csr, csr.vertices.where(f"vertex < {csr.meta.n_rows}"))
+
+
 @query(f"select slot, vertex, target, weight from ({slot_sql('supp_part')}) where vertex % 10 = 3")
 def neighbors_of(spark, sf_dir):
     csr = C.build_csr(graph_of(spark, sf_dir, "supp_part"), "sorted")
@@ -558,6 +570,22 @@ def _common_neighbors(spark, sf_dir):
     return graphops.common_neighbors(W.graph(spark, sf_dir, "supp_part"), pairs)
 
 
+@query(
+    f"""with e as (select distinct src, dst from ({G['supp_part']})), p as (select s_suppkey as a, s_suppkey + 1 as b from supplier),
+n as (select x.src as a, y.src as b, count(*) as n_common from e x join e y on x.dst = y.dst and y.src = x.src + 1 group by all)
+select a, b, coalesce(n_common, 0) as n_common from p left join n using (a, b)""",
+    "common_neighbors_all",
+)
+def _common_neighbors_all(spark, sf_dir):
+    pairs = W.table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("a"), (F.col("s_suppkey") + 1).alias("b"))
+    return graphops.common_neighbors(W.graph(spark, sf_dir, "supp_part"), pairs)
+
+
+@query(f"with e as (select distinct least(src, dst) as a, greatest(src, dst) as b from ({G['user_next']}) where src <> dst) select count(*) as n_triangles from e x join e y on x.b = y.a join e z on z.a = x.a and z.b = y.b", "triangle_count_all")
+def _triangles_all(spark, sf_dir):
+    return graphops.triangle_count(W.graph(spark, sf_dir, "user_next"))
+
+
 _SMALL = f"select src, dst from ({G['user_next']}) where src % 5 = 0 and dst % 5 = 0"
 
 
