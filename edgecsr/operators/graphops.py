@@ -9,19 +9,24 @@ from edgecsr.operators.scan import number_rows
 from edgecsr.session import materialize
 
 
-def bfs_levels(edges: DataFrame, source: int, max_depth: int = 50) -> DataFrame:
-    """(vertex, level) of everything that can be reached; each round is written, so lineage stays short."""
+def bfs_levels(edges: DataFrame, source: int, max_depth: int | None = None) -> DataFrame:
+    """(vertex, level) of everything that can be reached, or of what is at most ``max_depth`` edges away.
+
+    Each round's vertices are written, and all that were found every 16 rounds, so lineage stays short.
+    """
     spark = edges.sparkSession
     found = spark.createDataFrame([(source, 0)], "vertex long, level int")
     frontier, level = found, 0
-    pairs = edges.select("src", "dst").distinct()
-    while level < max_depth:
+    pairs = materialize(edges.select("src", "dst").distinct(), "pairs")
+    while max_depth is None or level < max_depth:
         level += 1
         step = frontier.join(pairs, frontier.vertex == pairs.src).select(F.col("dst").alias("vertex")).distinct()
         frontier = materialize(step.join(found.select("vertex"), "vertex", "left_anti").withColumn("level", F.lit(level)), "frontier")
         if frontier.isEmpty():
             break
-        found = materialize(found.union(frontier), "reached")
+        found = found.union(frontier)
+        if level % 16 == 0:
+            found = materialize(found, "reached")
     return found
 
 

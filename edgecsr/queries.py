@@ -544,6 +544,23 @@ def bfs_levels(spark, sf_dir):
     return graphops.bfs_levels(e, 1)
 
 
+def _bfs(g):
+    """Levels from the least vertex with an edge, over the whole graph."""
+    sql = f"""with recursive e as (select distinct src, dst from ({G[g]})),
+r(vertex, level) using key (vertex) as (select min(src), 0 from e union select e.dst, min(r.level) + 1 from r join e on e.src = r.vertex where e.dst not in (select vertex from recurring.r) group by 1)
+select vertex, level::int as level from r"""
+
+    def run(spark, sf_dir):
+        e = W.graph(spark, sf_dir, g)
+        return graphops.bfs_levels(e, e.agg(F.min("src")).first()[0])
+
+    query(sql, f"bfs_levels_{g}")(run)
+
+
+for _g in ("user_next", "order_chain"):
+    _bfs(_g)
+
+
 @query("select o_orderkey as vertex, min(o_orderkey) over (partition by o_custkey) as component from orders where o_custkey in (select o_custkey from orders group by 1 having count(*) > 1)")
 def connected_components(spark, sf_dir):
     return graphops.connected_components(W.graph(spark, sf_dir, "order_chain"))

@@ -2,10 +2,17 @@
 
 from itertools import combinations
 
+from edgecsr.operators import graphops
 from edgecsr.queries import queries
 from edgecsr.sources import workloads as W
 
 
+def test_bfs_goes_on_to_the_end_of_a_long_chain(spark):
+    edges = spark.range(1, 54, numPartitions=1).selectExpr("id - 1 as src", "id as dst")
+    assert {(r.vertex, r.level) for r in graphops.bfs_levels(edges, 0).collect()} == {(i, i) for i in range(54)}
+    assert graphops.bfs_levels(edges, 0, 3).count() == 4
+
+
 def test_triangles_of_the_whole_graph(spark, sf):
     pairs = {frozenset((r.src, r.dst)) for r in W.graph(spark, sf, "user_next").collect() if r.src != r.dst}
     near = {}
