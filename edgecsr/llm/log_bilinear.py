@@ -6,8 +6,8 @@ and groups of all others by their endings, so that any word's class follows
 from its spelling. The classes of the context each have a vector per place; the
 sum of the two, by inner products with the vectors of all classes, gives the
 normalised distribution of the next class. Vectors are learned by
-noise-contrastive estimation, in numpy, from the counts of class triples of the
-whole training corpus; shares come from the word counts of the whole training
+noise-contrastive estimation, in numpy, in passes over the counts of all class
+triples of the whole training corpus; shares come from the word counts of the whole training
 corpus. Only the most frequent words' counts travel to every task, in a number
 that does not grow; all other words meet their counts in a join.
 """
@@ -33,8 +33,8 @@ SINGLES, ENDINGS, KINDS = 64, 88, 8
 CLASSES = SINGLES + ENDINGS + KINDS
 #: Words whose counts every task holds.
 HEAD = 120_000
-#: Vector length, noise words for each true one, steps and their size.
-WIDTH, NOISE, STEPS, BATCH = 40, 10, 900, 2048
+#: Vector length, noise words for each true one, and passes over all counted cells.
+WIDTH, NOISE, STEPS = 40, 10, 200
 END = b""
 
 
@@ -163,37 +163,43 @@ def triple_counts(train: DataFrame, lexicon: Lexicon) -> DataFrame:
 
 
 def train_vectors(cells: np.ndarray, n: np.ndarray, mass: np.ndarray, steps: int = STEPS, seed: int = 5) -> np.ndarray:
-    """Noise-contrastive estimation from weighted class triples; returns log10 P(class | two before), a row per context."""
+    """Noise-contrastive estimation from weighted class triples; returns log10 P(class | two before), a row per context.
+
+    Nothing is drawn: each step goes over all counted cells, weighted by their
+    counts, and takes the noise by its expectation over all classes.
+    """
     rng = np.random.default_rng(seed)
     noise = mass / mass.sum()
     a, b, r = (rng.normal(0, 0.1, (CLASSES, WIDTH)) for _ in range(3))
     bias = np.log(noise)
     if len(cells):
-        chance = np.cumsum(n / n.sum())
+        contexts, row = np.unique(cells // CLASSES, return_inverse=True)
+        c1, c2 = contexts // CLASSES, contexts % CLASSES
+        true = np.zeros((len(contexts), CLASSES), np.float32)
+        np.add.at(true, (row, cells % CLASSES), n / n.sum())
         log_noise = np.log(NOISE * noise)
-        draws = np.cumsum(noise)
+        # weight of a class in a context as true word or as noise
+        either = true + true.sum(1, keepdims=True) * (NOISE * noise).astype(np.float32)
+        # contexts in order of either class, for sums over equal ones
+        by_first, by_second = np.argsort(c1, kind="stable"), np.argsort(c2, kind="stable")
+        first_at, second_at = np.unique(c1[by_first], return_index=True), np.unique(c2[by_second], return_index=True)
         values = [a, b, r, bias]
         first, second = [np.zeros_like(v) for v in values], [np.zeros_like(v) for v in values]
         for step in range(1, steps + 1):
-            cell = cells[np.minimum(np.searchsorted(chance, rng.random(BATCH)), len(cells) - 1)]
-            c1, c2, c3 = cell // CLASSES**2, cell // CLASSES % CLASSES, cell % CLASSES
-            fake = np.minimum(np.searchsorted(draws, rng.random(BATCH * NOISE)), CLASSES - 1).reshape(BATCH, NOISE)
-            target = np.column_stack([c3, fake])
-            h = a[c1] + b[c2]
-            z = np.einsum("bd,btd->bt", h, r[target]) + bias[target] - log_noise[target]
-            g = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-            g[:, 0] -= 1
-            g /= BATCH
-            gh = np.einsum("bt,btd->bd", g, r[target])
-            grads = [np.zeros_like(v) for v in values]
-            np.add.at(grads[0], c1, gh)
-            np.add.at(grads[1], c2, gh)
-            # sums by class through one matrix product
-            hits = np.zeros((CLASSES, BATCH))
-            np.add.at(hits, (target.ravel(), np.repeat(np.arange(BATCH), NOISE + 1)), g.ravel())
-            grads[2] = hits @ h
-            grads[3] = hits.sum(1)
-            rate = 0.03 * (1 - step / (steps + 1))
+            h = (a[c1] + b[c2]).astype(np.float32)
+            g = h @ r.T.astype(np.float32)
+            g += (bias - log_noise).astype(np.float32)
+            np.clip(g, -30, 30, out=g)
+            np.negative(g, out=g)
+            np.exp(g, out=g)
+            g += 1
+            np.divide(either, g, out=g)
+            g -= true
+            gh = g @ r.astype(np.float32)
+            grads = [np.zeros_like(a), np.zeros_like(b), (g.T @ h).astype(float), g.sum(0, dtype=np.float64)]
+            grads[0][first_at[0]] = np.add.reduceat(gh[by_first], first_at[1], axis=0)
+            grads[1][second_at[0]] = np.add.reduceat(gh[by_second], second_at[1], axis=0)
+            rate = 0.05 * (1 - step / (steps + 1))
             for v, d, f, s in zip(values, grads, first, second):
                 f += 0.1 * (d - f)
                 s += 0.01 * (d * d - s)

@@ -7,6 +7,7 @@ import public_tokenizers
 from tokenizers import Tokenizer
 
 import corpus_pipeline
+from edgecsr.llm import log_bilinear
 from edgecsr.llm.queries import op8_complement_packing
 
 MARKED = ["a <|endoftext|> b", "<|endoftext|>", "<|endoftext|><|endoftext|>x", "two  \n <|endoftext|>\n\n  lines", "<|endoftext", "no mark", "é<|endoftext|>漢 <|ENDOFTEXT|>", "w <|endoftext|> " * 700]
@@ -25,3 +26,15 @@ def test_packing_gives_added_tokens_their_ids(spark, tmp_path):
             assert zlib.crc32(np.array(ids[r.start : r.start + r.length], np.uint32).tobytes()) == r.ids_crc32
             seen[r.doc_id] += r.length
         assert seen == {i: len(t.encode(x, add_special_tokens=False).ids) + 1 for i, x in enumerate(MARKED)}
+
+
+def test_language_model_learns_from_every_counted_triple():
+    """No draws: neither the order of the cells nor counts in two parts change the model."""
+    k = log_bilinear.CLASSES
+    rng = np.random.default_rng(3)
+    cells = rng.choice(k**3, 5000, replace=False)
+    n, mass = rng.integers(2, 50, 5000).astype(float), rng.random(k) + 0.1
+    want = log_bilinear.train_vectors(cells, n, mass, steps=10)
+    turned = rng.permutation(5000)
+    for c, m in ((cells[turned], n[turned]), (np.concatenate([cells, cells]), np.concatenate([n - 1, np.ones(5000)]))):
+        assert np.allclose(log_bilinear.train_vectors(c, m, mass, steps=10), want, atol=1e-3)
