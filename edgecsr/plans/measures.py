@@ -29,8 +29,23 @@ def time_runs(fn: Callable[[], DataFrame], runs: int = 5) -> list[tuple[float, s
     return out
 
 
-def records(spark: SparkSession, workload: str, graph: str, method: str, runs: list[tuple[float, str]], params: str = "", edges_in_file: int = 0, edges_loaded: int = 0, size: int = 0) -> DataFrame:
-    cores = spark.sparkContext.defaultParallelism
+def file_totals(spark: SparkSession, path: str) -> tuple[int, int]:
+    """(edges, bytes) of a text edge list's files."""
+    lines = spark.read.option("recursiveFileLookup", "true").text(path).where(r"trim(value) <> '' and not value rlike '^\\s*[%#]'")
+    size = spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).agg(F.coalesce(F.sum("length"), F.lit(0)))
+    return lines.count(), size.first()[0]
+
+
+def edges_of(found: DataFrame) -> int:
+    """How many edges a result holds: its rows, or the sum where it has degrees."""
+    if "degree" in found.columns:
+        return found.agg(F.coalesce(F.sum("degree"), F.lit(0))).first()[0]
+    return found.count()
+
+
+def records(spark: SparkSession, workload: str, graph: str, method: str, runs: list[tuple[float, str]], params: str = "", edges_in_file: int = 0, edges_loaded: int = 0, size: int = 0, cores: int | None = None) -> DataFrame:
+    """One row for each run; ``cores`` is what the session has unless the runs used fewer tasks."""
+    cores = cores or spark.sparkContext.defaultParallelism
     rows = [(workload, graph, method, params, cores, i, s, edges_in_file, edges_loaded, size, status) for i, (s, status) in enumerate(runs)]
     return spark.createDataFrame(rows, RECORD)
 

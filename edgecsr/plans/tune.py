@@ -11,32 +11,43 @@ from edgecsr.operators.csr import build_csr, build_sorted, build_staged
 from edgecsr.operators.degrees import degrees
 from edgecsr.operators.edges import with_part
 from edgecsr.operators.readers import read_csr, read_edges
-from edgecsr.plans.measures import records, time_runs
+from edgecsr.plans.measures import edges_of, file_totals, records, time_runs
 from edgecsr.schema import Graph, GraphMeta
 from edgecsr.sources.workloads import exported, graph
 
+#: The buffered-file readers R3 and R4 are not built; "R2 format" is R2 with R3's parse.
 READERS = {
     "R1": {"method": "serial"},
     "R2": {"method": "line_block"},
-    "R3": {"method": "line_block", "parser": "format"},
-    "R4": {"method": "line_block", "parser": "direct"},
+    "R2 format": {"method": "line_block", "parser": "format"},
     "R5": {"method": "block"},
     "R6": {"method": "block_vector"},
 }
 
 
-def _all(spark: SparkSession, workload: str, g: str, named: dict, runs: int) -> DataFrame:
-    return reduce(DataFrame.union, [records(spark, workload, g, name, time_runs(fn, runs)) for name, fn in named.items()])
+def _all(spark: SparkSession, workload: str, g: str, named: dict, runs: int, path: str | dict | None = None, cores: int | None = None) -> DataFrame:
+    """Runs and records each; ``path`` is the file that all read, or each by name, or None where none is read."""
+    totals: dict = {None: (0, 0)}
+    out = []
+    for name, fn in named.items():
+        at = path.get(name) if isinstance(path, dict) else path
+        if at not in totals:
+            totals[at] = file_totals(spark, at)
+        in_file, size = totals[at]
+        timed = time_runs(fn, runs)
+        loaded = edges_of(fn()) if any(status == "ok" for _, status in timed) else 0
+        out.append(records(spark, workload, g, name, timed, edges_in_file=in_file, edges_loaded=loaded, size=size, cores=cores))
+    return reduce(DataFrame.union, out)
 
 
 def sweep_readers(spark, sf_dir, g="supp_part", runs=5):
     path = exported(spark, sf_dir, g)
-    return _all(spark, "readers", g, {n: lambda o=o: read_edges(spark, path, **o).edges for n, o in READERS.items()}, runs)
+    return _all(spark, "readers", g, {n: lambda o=o: read_edges(spark, path, **o).edges for n, o in READERS.items()}, runs, path)
 
 
 def sweep_block_bytes(spark, sf_dir, g="supp_part", sizes=(4096, 16384, 65536, 262144, 1048576, 4194304), runs=3):
     path = exported(spark, sf_dir, g)
-    return _all(spark, "block_bytes", g, {str(b): lambda b=b: read_edges(spark, path, source="blocks", block_bytes=b).edges for b in sizes}, runs)
+    return _all(spark, "block_bytes", g, {str(b): lambda b=b: read_edges(spark, path, source="blocks", block_bytes=b).edges for b in sizes}, runs, path)
 
 
 def sweep_variants(spark, sf_dir, g="supp_part", runs=5):
@@ -44,7 +55,7 @@ def sweep_variants(spark, sf_dir, g="supp_part", runs=5):
     edges = lambda: read_edges(spark, path).edges
     csr = lambda m: read_csr(spark, path, m).slots
     named = {"edge_list": edges, "D1": lambda: degrees(edges(), "global"), "D2": lambda: degrees(edges(), "task"), "D3": lambda: degrees(edges(), "parts"), "C1": lambda: csr("single"), "C2": lambda: csr("staged"), "C3": lambda: csr("sorted")}
-    return _all(spark, "variants", g, named, runs)
+    return _all(spark, "variants", g, named, runs, path)
 
 
 def sweep_parts(spark, sf_dir, g="supp_part", ks=(1, 2, 4, 8, 16, 32), runs=3):
@@ -55,27 +66,27 @@ def sweep_parts(spark, sf_dir, g="supp_part", ks=(1, 2, 4, 8, 16, 32), runs=3):
 def compare_csr_loaders(spark, sf_dir, g="supp_part", runs=5):
     path = exported(spark, sf_dir, g)
     named = {"sequential_line": lambda: sequential_csr(spark, path).slots, "sequential_coordinate": lambda: sequential_csr(spark, path, "coordinate").slots, "two_pass": lambda: two_pass_csr(spark, path).slots, "staged": lambda: read_csr(spark, path, "staged").slots, "sorted": lambda: read_csr(spark, path, "sorted").slots, "auto": lambda: read_csr(spark, path, "auto").slots}
-    return _all(spark, "csr_loaders", g, named, runs)
+    return _all(spark, "csr_loaders", g, named, runs, path)
 
 
 def compare_edge_loaders(spark, sf_dir, g="supp_part", runs=5):
     path = exported(spark, sf_dir, g)
-    return _all(spark, "edge_loaders", g, {"two_pass": lambda: two_pass_edges(spark, path), "R5": lambda: read_edges(spark, path, "block").edges, "R6": lambda: read_edges(spark, path).edges}, runs)
+    return _all(spark, "edge_loaders", g, {"two_pass": lambda: two_pass_edges(spark, path), "R5": lambda: read_edges(spark, path, "block").edges, "R6": lambda: read_edges(spark, path).edges}, runs, path)
 
 
 def split_times(spark, sf_dir, g="supp_part", runs=5):
     path = exported(spark, sf_dir, g)
-    return _all(spark, "split", g, {"edge_list": lambda: read_edges(spark, path).edges, "csr": lambda: read_csr(spark, path, "staged").slots}, runs)
+    return _all(spark, "split", g, {"edge_list": lambda: read_edges(spark, path).edges, "csr": lambda: read_csr(spark, path, "staged").slots}, runs, path)
 
 
 def sweep_weights(spark, sf_dir, g="order_part", runs=5):
     a, b = exported(spark, sf_dir, g), exported(spark, sf_dir, g, weighted=False)
-    return _all(spark, "weights", g, {"weighted": lambda: read_edges(spark, a).edges, "unweighted": lambda: read_edges(spark, b, weighted=False).edges}, runs)
+    return _all(spark, "weights", g, {"weighted": lambda: read_edges(spark, a).edges, "unweighted": lambda: read_edges(spark, b, weighted=False).edges}, runs, {"weighted": a, "unweighted": b})
 
 
 def sweep_lines(spark, sf_dir, g="supp_part", lines=(8192, 131072), runs=3):
     path = exported(spark, sf_dir, g)
-    return _all(spark, "lines", g, {str(n): lambda n=n: read_edges(spark, path, "line_block", lines_per_block=n).edges for n in lines}, runs)
+    return _all(spark, "lines", g, {str(n): lambda n=n: read_edges(spark, path, "line_block", lines_per_block=n).edges for n in lines}, runs, path)
 
 
 def compare_degree_shapes(spark, sf_dir, graphs=("order_chain", "order_part", "part_supp", "supp_part"), runs=3):
@@ -96,6 +107,7 @@ def sweep_tasks(spark, sf_dir, g="supp_part", tasks=(1, 2, 4, 8), runs=3):
     path = exported(spark, sf_dir, g, files=max(tasks))
     out = []
     for t in tasks:
-        named = {f"edge_list@{t}": lambda t=t: read_edges(spark, path).edges.coalesce(t), f"csr@{t}": lambda t=t: build_sorted(Graph(read_edges(spark, path).edges.coalesce(t), GraphMeta()), t).slots}
-        out.append(_all(spark, "scaling", g, named, runs))
+        edges = lambda t=t: read_edges(spark, path).edges.coalesce(t)
+        named = {"edge_list": edges, "csr": lambda t=t, edges=edges: build_sorted(Graph(edges(), GraphMeta()), t).slots}
+        out.append(_all(spark, "scaling", g, named, runs, path, edges().rdd.getNumPartitions()))
     return reduce(DataFrame.union, out)

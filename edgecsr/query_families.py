@@ -350,7 +350,7 @@ for _name, _fn in (
     ("workload_block_bytes", tune.sweep_block_bytes),
     ("workload_scaling", tune.sweep_tasks),
 ):
-    query(None, _name)(lambda spark, sf_dir, fn=_fn: fn(spark, sf_dir, runs=1))
+    query(None, _name)(lambda spark, sf_dir, fn=_fn: fn(spark, sf_dir))
 
 
 @query("select count(*) as edges_loaded, 2 * count(*) as with_reverse from (" + "select distinct a.l_partkey as src, b.l_partkey as dst from lineitem a join lineitem b using (l_orderkey) where a.l_partkey < b.l_partkey" + ")")
