@@ -7,7 +7,7 @@ import public_tokenizers
 from tokenizers import Tokenizer
 
 import corpus_pipeline
-from edgecsr.llm import log_bilinear
+from edgecsr.llm import log_bilinear, toxicity
 from edgecsr.llm.queries import op8_complement_packing
 
 MARKED = ["a <|endoftext|> b", "<|endoftext|>", "<|endoftext|><|endoftext|>x", "two  \n <|endoftext|>\n\n  lines", "<|endoftext", "no mark", "é<|endoftext|>漢 <|ENDOFTEXT|>", "w <|endoftext|> " * 700]
@@ -38,3 +38,10 @@ def test_language_model_learns_from_every_counted_triple():
     turned = rng.permutation(5000)
     for c, m in ((cells[turned], n[turned]), (np.concatenate([cells, cells]), np.concatenate([n - 1, np.ones(5000)]))):
         assert np.allclose(log_bilinear.train_vectors(c, m, mass, steps=10), want, atol=1e-3)
+
+
+def test_nothing_is_toxic_without_training_rows(spark, sf):
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    for none in (labels.limit(0), labels.withColumn("doc_id", -1 - labels.doc_id)):
+        rows = toxicity.score(docs, toxicity.train(docs, none)).collect()
+        assert len(rows) == docs.count() and not any(r.toxic for r in rows)
