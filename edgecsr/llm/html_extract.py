@@ -172,7 +172,11 @@ def score(root: Element) -> Element:
 
 
 def _blocks(node: Element, out: list[list[str]]) -> None:
-    """Adds the text of ``node``, in page order, as blocks of parts."""
+    """Adds the text of ``node``, in page order, as blocks of parts.
+
+    Lists of links stay, as references do; what is navigation, aside or related
+    by its element, role, class or id was dropped in ``parse``.
+    """
     todo: list = [node]
     while todo:
         c = todo.pop()
@@ -185,8 +189,6 @@ def _blocks(node: Element, out: list[list[str]]) -> None:
                 out[-1].append(" ")
             inline = c.tag in INLINE
             if not inline:
-                if c is not node and c.tag in ("ul", "ol", "div", "section", "table") and c.size and c.links / c.size > 0.66 and c.size < 2000:
-                    continue  # a list of links
                 out.append([])
                 todo.append(None)
             todo += reversed(c.children)

@@ -8,6 +8,7 @@ from tokenizers import Tokenizer
 
 import corpus_pipeline
 from edgecsr.llm import log_bilinear, toxicity
+from edgecsr.llm.html_extract import extract
 from edgecsr.llm.queries import op8_complement_packing
 
 MARKED = ["a <|endoftext|> b", "<|endoftext|>", "<|endoftext|><|endoftext|>x", "two  \n <|endoftext|>\n\n  lines", "<|endoftext", "no mark", "é<|endoftext|>漢 <|ENDOFTEXT|>", "w <|endoftext|> " * 700]
@@ -45,3 +46,13 @@ def test_nothing_is_toxic_without_training_rows(spark, sf):
     for none in (labels.limit(0), labels.withColumn("doc_id", -1 - labels.doc_id)):
         rows = toxicity.score(docs, toxicity.train(docs, none)).collect()
         assert len(rows) == docs.count() and not any(r.toxic for r in rows)
+
+
+def test_article_keeps_its_lists_of_links():
+    """Short and long reference lists stay, navigation by element, role or class goes."""
+    for n in (2, 200):
+        links = "".join(f"<li><a href='/{i}'>Reference number {i}</a></li>" for i in range(n))
+        page = f"<body><article><p>First, long enough, with commas.</p>{{}}<nav><ul>{links}</ul></nav><div class=related>{links}</div><div role=navigation>{links}</div></article></body>"
+        want = " ".join(["First, long enough, with commas.", *[f"Reference number {i}" for i in range(n)]])
+        for block in (f"<ol>{links}</ol>", f"<section><ul>{links}</ul></section>"):
+            assert extract(page.format(block)) == want
