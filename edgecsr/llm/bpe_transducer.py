@@ -8,7 +8,11 @@ undecided boundary and the bytes after it; reading one byte adds the last
 token of the new prefix, and whatever all boundaries that a longer token may
 still start at have in common is emitted. Lookahead is bounded by the longest
 token. States and arcs are made when first needed and kept; outputs of whole
-pieces of text are kept too. Both tables are bounded and are emptied when full.
+stretches of text are kept too. Both tables are bounded and are emptied when full.
+
+Whether two tokens stay apart is read off the merge table alone: undoing the
+merges of both, the latest first, shows each pair of parts that ever stood at
+their boundary, and with it the merges that could have crossed it.
 """
 
 from __future__ import annotations
@@ -16,6 +20,7 @@ from __future__ import annotations
 import base64
 import gc
 import hashlib
+import re
 from collections.abc import Iterator
 from itertools import islice
 from struct import pack
@@ -26,8 +31,8 @@ from pyspark.sql import DataFrame
 
 from edgecsr.llm.common import documents_only, per_worker
 
-#: How many whole pieces and how many states a worker keeps.
-MAX_PIECES = 400_000
+#: How many stretches (and half as many pieces) of text and how many states a worker keeps.
+MAX_STRETCHES = 600_000
 MAX_STATES = 200_000
 
 
@@ -37,15 +42,16 @@ def load_ranks(path: str) -> dict[bytes, int]:
 
 
 class _State:
-    """masks[n]: the boundaries that the segmentation of the first n pending bytes has, as bits."""
+    """What is known after the bytes read so far, of which the last are ``pending``.
+
+    ``ends[n]``: last token of the first n pending bytes' segmentation, and where it starts. ``masks[n]``: the
+    boundaries of that segmentation, as bits. ``open``: the places at which a longer token may still start.
+    """
 
-    __slots__ = ("arcs", "before", "ends", "masks", "pending")
+    __slots__ = ("arcs", "ends", "masks", "open", "pending")
 
-    def __init__(self, before, pending, ends):
-        self.before, self.pending, self.ends, self.arcs = before, pending, ends, {}
-        self.masks = [1]
-        for n, (_, start) in enumerate(ends[1:], 1):
-            self.masks.append(self.masks[start] | 1 << n if start >= 0 else 0)  # 0: left behind, no token starts there any more
+    def __init__(self, pending, ends, masks, open_):
+        self.pending, self.ends, self.masks, self.open, self.arcs = pending, ends, masks, open_, {}
 
 
 class Transducer:
@@ -55,76 +61,97 @@ class Transducer:
         self.ranks, self.max_states = ranks, max_states
         self.bytes_of = {i: t for t, i in ranks.items()}
         self.prefixes = {t[:n] for t in ranks for n in range(1, len(t))} | {b""}
+        self.parts_of: dict[int, tuple[int, int] | None] = {}
         self.apart: dict[tuple[int, int], bool] = {}
-        self.whole: dict[int, bool] = {}
         self._reset()
 
     def _reset(self):
-        self.states = {}
-        self.start = self._state(None, b"", [(None, 0)])
-
-    def _state(self, before, pending, ends) -> _State:
-        key = (before, pending)
-        state = self.states.get(key)
-        if state is None:
-            state = self.states[key] = _State(before, pending, ends)
-        return state
-
-    def _merged(self, data: bytes) -> list[bytes]:
-        """What plain merging leaves of ``data``; only used on one or two tokens at a time."""
-        get, none = self.ranks.get, 1 << 40
-        parts = [data[i : i + 1] for i in range(len(data))]
-        rank = [get(a + b, none) for a, b in zip(parts, parts[1:])]
-        while rank and (least := min(rank)) < none:
-            i = rank.index(least)
-            parts[i : i + 2] = [parts[i] + parts[i + 1]]
-            del rank[i]
-            if i < len(rank):
-                rank[i] = get(parts[i] + parts[i + 1], none)
-            if i:
-                rank[i - 1] = get(parts[i - 1] + parts[i], none)
-        return parts
+        self.start = _State(b"", [(None, 0)], [1], [0])
+        self.states = {(None, b""): self.start}
+
+    def _parts(self, token: int) -> tuple[int, int] | None:
+        """The two tokens whose merge makes this one; None for a single byte, (-1, -1) if merging never makes it."""
+        found = self.parts_of.get(token, 0)
+        if found == 0:
+            data, get, none = self.bytes_of[token], self.ranks.get, 1 << 40
+            if len(data) == 1:
+                found = None
+            else:
+                parts = [data[i : i + 1] for i in range(len(data))]
+                rank = [get(a + b, none) for a, b in zip(parts, parts[1:])]
+                while len(rank) > 1 and (least := min(rank)) < none:
+                    i = rank.index(least)
+                    parts[i : i + 2] = [parts[i] + parts[i + 1]]
+                    del rank[i]
+                    if i < len(rank):
+                        rank[i] = get(parts[i] + parts[i + 1], none)
+                    if i:
+                        rank[i - 1] = get(parts[i - 1] + parts[i], none)
+                found = (self.ranks[parts[0]], self.ranks[parts[1]]) if len(parts) == 2 else (-1, -1)
+            self.parts_of[token] = found
+        return found
 
     def _stays_apart(self, a: int | None, b: int) -> bool:
+        """Whether merging makes ``b`` at all, and leaves it and ``a`` in front of it as they are."""
+        if self._parts(b) == (-1, -1):
+            return False
         if a is None:
-            ok = self.whole.get(b)
-            if ok is None:
-                ok = self.whole[b] = len(self._merged(self.bytes_of[b])) == 1
-            return ok
+            return True
         ok = self.apart.get((a, b))
         if ok is None:
             if len(self.apart) > 4 * self.max_states:
                 self.apart.clear()
-            left, right = self.bytes_of[a], self.bytes_of[b]
-            ok = self.apart[a, b] = self._merged(left + right) == [left, right]
+            ok = self.apart[a, b] = self._never_crossed(a, b)
         return ok
 
+    def _never_crossed(self, a: int, b: int) -> bool:
+        bytes_of, get, limit = self.bytes_of, self.ranks.get, 1 << 40
+        while True:
+            across = get(bytes_of[a] + bytes_of[b])
+            if across is not None and across < limit:
+                return False  # this merge comes before the one that made a part of either side
+            left, right = self._parts(a), self._parts(b)
+            if left is not None and (right is None or a > b):
+                limit, a = a, left[1]
+            elif right is not None:  # of equal merges the left one comes first, so it crosses before this one
+                limit, b = b + 1, right[0]
+            else:
+                return True
+
     def _arc(self, state: _State, byte: int) -> tuple[_State, tuple[int, ...]]:
         """One more byte: the next state and the ids that are decided now."""
-        text = state.pending + bytes((byte,))
-        n, ends = len(text), [*state.ends]
-        for start in range(n):
-            token = self.ranks.get(text[start:])
-            if token is not None and self._stays_apart(None, token) and (ends[start][0] is None or self._stays_apart(ends[start][0], token)):
-                ends.append((token, start))
+        text, ends, masks = state.pending + bytes((byte,)), state.ends, state.masks
+        n, get, prefixes = len(text), self.ranks.get, self.prefixes
+        for start in state.open:  # the longest first; just one is right
+            token = get(text[start:])
+            if token is not None and self._stays_apart(ends[start][0], token):
                 break
         else:
             raise ValueError(f"no token ends at byte {byte} of this table")
-        masks = [*state.masks, state.masks[ends[n][1]] | 1 << n]
-        common = -1
-        for at in range(n + 1):
-            if text[at:] in self.prefixes:
-                common &= masks[at]
+        common = mask = masks[start] | 1 << n
+        going = [at for at in state.open if text[at:] in prefixes]
+        for at in going:
+            common &= masks[at]
         settled = common.bit_length() - 1  # bit 0, the start, is in every mask
         out, here = [], settled
+        if here == n:
+            out, here = [token], start
         while here:
             out.append(ends[here][0])
             here = ends[here][1]
-        before = ends[settled][0] if settled else state.before
-        moved = [(before, 0)] + [(t, s - settled) for t, s in ends[settled + 1 :]] if settled else ends
-        if len(self.states) > self.max_states:
-            self._reset()
-        arc = state.arcs[byte] = (self._state(before, text[settled:], moved), tuple(out[::-1]))
+        before = token if settled == n else ends[settled][0]
+        key = (before, text[settled:])
+        then = self.states.get(key)
+        if then is None:
+            ends, masks, going = [*ends, (token, start)], [*masks, mask], [*going, n]
+            if settled:  # places that pass over the settled one are left behind: no token starts there any more
+                ends = [(before, 0), *[(t, at - settled) for t, at in ends[settled + 1 :]]]
+                masks = [1, *[m >> settled for m in masks[settled + 1 :]]]
+                going = [at - settled for at in going]
+            if len(self.states) > self.max_states:
+                self._reset()
+            then = self.states[key] = _State(key[1], ends, masks, going)
+        arc = state.arcs[byte] = (then, tuple(out[::-1]))
         return arc
 
     def encode(self, data: bytes) -> list[int]:
@@ -142,24 +169,21 @@ class Transducer:
 
 
 class PieceTable(dict):
-    """Piece of text to its ids, packed as little-endian unsigned 32-bit integers; misses go through the transducer.
+    """Text to its ids, packed as little-endian unsigned 32-bit integers; misses go through ``make``.
 
     Two generations: when the young one is full it becomes the old one, from
-    which pieces that recur come back.
+    which texts that recur come back.
     """
 
-    def __init__(self, transducer: Transducer, max_pieces: int = MAX_PIECES):
+    def __init__(self, make, max_pieces: int = MAX_STRETCHES):
         super().__init__()
-        self.transducer, self.max_pieces, self.old = transducer, max_pieces, {}
+        self.make, self.max_pieces, self.old = make, max_pieces, {}
 
     def __missing__(self, piece: str) -> bytes:
         packed = self.old.get(piece)
         if packed is None:
-            data = piece.encode()
-            whole = self.transducer.ranks.get(data)
-            ids = [whole] if whole is not None else self.transducer.encode(data)
-            packed = pack(f"<{len(ids)}I", *ids)
-            if len(data) > 64:  # long pieces hardly recur
+            packed = self.make(piece)
+            if len(piece) > 64:  # long ones hardly recur
                 return packed
         if len(self) >= self.max_pieces:
             self.old = dict(self)
@@ -169,57 +193,92 @@ class PieceTable(dict):
 
 
 class Encoder:
-    """Whole texts: split by ``pattern``, each piece on its own."""
+    """Whole texts: split by ``pattern``, each piece on its own.
+
+    A lone space between two characters that are no white space always begins
+    a piece, so the stretches between such spaces are encoded apart and kept.
+    """
+
+    #: Such spaces; ``re`` counts all that ``regex`` does as white space, and more.
+    LONE = re.compile(r"(?<=\S) (?=\S)")
+    #: Other white space of ASCII, before and behind a space.
+    BESIDE = [x for c in "\t\n\x0b\x0c\r\x1c\x1d\x1e\x1f" for x in (c + " ", " " + c)] + ["  "]
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.find = regex.compile(pattern).findall
-        self.table = PieceTable(Transducer(ranks))
-
-    @staticmethod
-    def sections(text: str, most: int = 1 << 20) -> Iterator[str]:
-        """Cuts of a very long text in front of a lone space, where a piece always begins."""
-        done = 0
-        while len(text) - done > most:
-            at = done + most
-            while at < len(text) - 1 and not (text[at] == " " and not text[at - 1].isspace() and not text[at + 1].isspace()):
-                at += 1
-            if at >= len(text) - 1:
-                break
-            yield text[done:at]
-            done = at
-        yield text[done:]
+        self.transducer = Transducer(ranks)
+        self.pieces = PieceTable(self._piece, MAX_STRETCHES // 2)
+        self.stretches = PieceTable(self._stretch)
+
+    def _piece(self, piece: str) -> bytes:
+        data = piece.encode()
+        whole = self.transducer.ranks.get(data)
+        ids = [whole] if whole is not None else self.transducer.encode(data)
+        return pack(f"<{len(ids)}I", *ids)
+
+    def _split(self, text: str) -> bytes:
+        return b"".join(map(self.pieces.__getitem__, self.find(text)))
+
+    def _stretch(self, after_space: str) -> bytes:
+        return self._split(" " + after_space)
 
     def encode_packed(self, text: str) -> bytes:
-        if len(text) <= 1 << 20:
-            return b"".join(map(self.table.__getitem__, self.find(text)))
-        return b"".join(b"".join(map(self.table.__getitem__, self.find(part))) for part in self.sections(text))
+        plain = text.isascii() and text[:1] != " " and text[-1:] != " " and not any(map(text.__contains__, self.BESIDE))
+        first, *rest = text.split(" ") if plain else self.LONE.split(text)
+        return self._split(first) + b"".join(map(self.stretches.__getitem__, rest))
 
     def encode(self, text: str) -> list[int]:
         packed = self.encode_packed(text)
         return list(memoryview(packed).cast("I")) if packed else []
 
 
+def _utf8_steps() -> list[list[int]]:
+    """Transitions (state by byte) of well-formed UTF-8: 0 between characters, 1 to 3 that many plain continuation bytes to come, -1 ill-formed.
+
+    States 4 to 7 take the second byte of the leads that allow only some: after E0, ED, F0 and F4.
+    """
+    steps = [[-1] * 256 for _ in range(8)]
+    for byte in range(256):
+        if byte < 0x80:
+            steps[0][byte] = 0
+        elif 0xC2 <= byte < 0xF5:
+            steps[0][byte] = {0xE0: 4, 0xED: 5, 0xF0: 6, 0xF4: 7}.get(byte, 1 if byte < 0xE0 else 2 if byte < 0xF0 else 3)
+        elif byte < 0xC0:
+            for state in (1, 2, 3):
+                steps[state][byte] = state - 1
+            for state, low, high, then in ((4, 0xA0, 0xBF, 1), (5, 0x80, 0x9F, 1), (6, 0x90, 0xBF, 2), (7, 0x80, 0x8F, 2)):
+                if low <= byte <= high:
+                    steps[state][byte] = then
+    return steps
+
+
 class Utf8Machine:
-    """Incremental UTF-8: bytes in any cuts, text out; a sequence that is not whole yet waits in the state."""
+    """Incremental UTF-8: bytes in any cuts, text out; a sequence that is not whole yet waits with its state.
+
+    Only the last character of a part can be cut, so the machine walks from its
+    lead byte on; whole characters before it are decoded in bulk.
+    """
+
+    STEPS = _utf8_steps()
 
     def __init__(self, errors: str = "strict"):
         self.errors, self.waiting = errors, b""
 
-    @staticmethod
-    def unfinished(data: bytes) -> int:
-        """How many bytes at the end begin a sequence that goes on after them."""
-        for back in range(1, min(4, len(data)) + 1):
-            byte = data[-back]
-            if byte < 0x80:
-                return 0
-            if byte >= 0xC0:
-                need = 2 if byte < 0xE0 else 3 if byte < 0xF0 else 4
-                return back if back < need else 0
-        return 0
+    def _unfinished(self, data: bytes) -> int:
+        """How many bytes at the end begin a character that goes on after them."""
+        back = 1
+        while back < min(4, len(data)) and 0x80 <= data[-back] < 0xC0:
+            back += 1
+        state = 0
+        for byte in data[len(data) - back :]:
+            state = self.STEPS[state][byte]
+            if state < 0:
+                return 0  # ill-formed: for the decoder to tell
+        return back if state else 0
 
     def feed(self, data: bytes) -> str:
         data = self.waiting + data
-        cut = len(data) - self.unfinished(data)
+        cut = len(data) - self._unfinished(data)
         self.waiting = data[cut:]
         return data[:cut].decode("utf-8", self.errors)
 
@@ -247,26 +306,31 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, with_ids: b
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = per_worker(("byte_bpe", ranks_path, pattern), lambda: Encoder(load_ranks(ranks_path), pattern))
-        bytes_of = encoder.table.transducer.bytes_of
+        bytes_of = encoder.transducer.bytes_of
+        collecting = gc.isenabled()
         gc.disable()  # the tables hold very many small objects and no garbage
-        for batch in batches:
-            counts, digests, back, ids = [], [], [], []
-            for text in batch.column(1):
-                packed = encoder.encode_packed(text.as_py() or "")
-                tokens = memoryview(packed).cast("I").tolist() if packed else []
-                decoded = hashlib.sha256()
-                for part in decode_stream(tokens, bytes_of):
-                    decoded.update(part.encode())
-                counts.append(len(tokens))
-                digests.append(hashlib.sha256(packed).hexdigest())
-                back.append(decoded.hexdigest())
+        try:
+            for batch in batches:
+                counts, digests, back, ids = [], [], [], []
+                for text in batch.column(1):
+                    packed = encoder.encode_packed(text.as_py() or "")
+                    tokens = memoryview(packed).cast("I").tolist() if packed else []
+                    decoded = hashlib.sha256()
+                    for part in decode_stream(tokens, bytes_of):
+                        decoded.update(part.encode())
+                    counts.append(len(tokens))
+                    digests.append(hashlib.sha256(packed).hexdigest())
+                    back.append(decoded.hexdigest())
+                    if with_ids:
+                        ids.append(tokens)
+                columns = [batch.column(0), pa.array(counts, pa.int64()), pa.array(digests, pa.string()), pa.array(back, pa.string())]
+                names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
                 if with_ids:
-                    ids.append(tokens)
-            columns = [batch.column(0), pa.array(counts, pa.int64()), pa.array(digests, pa.string()), pa.array(back, pa.string())]
-            names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
-            if with_ids:
-                columns.append(pa.array(ids, pa.list_(pa.int32())))
-                names.append("ids")
-            yield pa.RecordBatch.from_arrays(columns, names)
+                    columns.append(pa.array(ids, pa.list_(pa.int32())))
+                    names.append("ids")
+                yield pa.RecordBatch.from_arrays(columns, names)
+        finally:
+            if collecting:
+                gc.enable()
 
     return documents_only(docs).mapInArrow(run, schema)

@@ -17,7 +17,7 @@ from edgecsr.llm import log_bilinear, quality, toxicity
 from edgecsr.llm.bpe_transducer import Encoder, Transducer, Utf8Machine, decode_stream, encode_documents, load_ranks
 from edgecsr.llm.html_extract import extract, extract_pages
 from edgecsr.llm.linear import platt
-from edgecsr.llm.packing import fill_exactly, pack, plan_of
+from edgecsr.llm.packing import added_tokens, fill_exactly, pack, plan_of
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, n long, token string, score double, label int"
 TEXTS = [None, "", " ", "one", "a b c d e", "Straße – naïve 漢字 😀 <|endoftext|>", "x" * 5000, "line\n\n\nline  end ", "the the the the the the", "the the the the the the"]
@@ -46,6 +46,10 @@ def test_transducer_equals_library():
     for _ in range(1500):
         s = "".join(rng.choice(parts) for _ in range(rng.randrange(40)))
         assert own.encode(s) == library.encode_ordinary(s), s
+    for _ in range(3000):  # spaces beside every kind of white space, and words that no table has
+        s = "".join(rng.choice(["x", " ", " ", "\x1c", "\xa0", "\u3000", "\x85", "\r", "\n", ",", "é"]) for _ in range(rng.randrange(12)))
+        s += "".join(chr(rng.choice([rng.randrange(97, 103), rng.randrange(32, 127), rng.randrange(0x600)])) for _ in range(rng.randrange(30)))
+        assert own.encode(s) == library.encode_ordinary(s), s
 
 
 def test_transducer_with_tiny_tables_and_long_texts():
@@ -68,6 +72,9 @@ def test_streaming_decode_never_cuts_a_character():
         assert "".join(decode_stream(ids, bytes_of, chunk)) == text
     m = Utf8Machine("replace")
     assert m.feed(b"\xf0\x9f") == "" and m.finish() == "�"
+    for data in (b"\xed\xa0\x80", b"\xe0\x80", b"\xf4\x90", b"\x80\x80", b"a\xc3", b"\xf5x", "né😀".encode()):
+        m = Utf8Machine("replace")
+        assert "".join(m.feed(bytes((b,))) for b in data) + m.finish() == data.decode("utf-8", "replace")
 
 
 def test_encode_documents(spark, odd, nothing):
@@ -117,11 +124,11 @@ def test_extract_odd_pages(spark):
 
 
 PACK_RANKS = public_tokenizers.path("byte_bpe_50k.tiktoken")
+ADDED = added_tokens(public_tokenizers.path("byte_bpe_50k.json"))
 
 
 def _check_packed(rows, texts, capacity):
     t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
     by = Counter()
     place = {}
     for r in rows:
@@ -143,7 +150,7 @@ def _check_packed(rows, texts, capacity):
 def test_pack_odd_documents(spark, odd, nothing):
     texts = {**dict(enumerate(TEXTS)), None: "no id here"}
     for capacity in (8, 1024):
-        rows = pack(odd, PACK_RANKS, capacity).collect()
+        rows = pack(odd, PACK_RANKS, capacity, added=ADDED).collect()
         by, n = _check_packed(rows, texts, capacity)
         assert n >= math.ceil(sum(by.values()) / capacity)
     assert pack(nothing, PACK_RANKS).collect() == []
@@ -152,7 +159,7 @@ def test_pack_odd_documents(spark, odd, nothing):
 def test_pack_given_documents_nearly_fills(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     texts = {r.doc_id: r.text for r in docs.collect()}
-    by, n = _check_packed(pack(docs, PACK_RANKS).collect(), texts, 1024)
+    by, n = _check_packed(pack(docs, PACK_RANKS, added=ADDED).collect(), texts, 1024)
     assert n <= 1.06 * math.ceil(sum(by.values()) / 1024)
 
 
