@@ -28,7 +28,7 @@ BANDS, ROWS = 32, 5
 #: Estimated similarity below which a pair is not looked at: 5 deviations under the threshold.
 LEAST_ESTIMATE = 0.64
 #: Members of a bucket that are compared with all others of it in the first round; four times as many in each later one.
-LEADERS = 2
+LEADERS = 1
 #: Keys of finer buckets that are written as one batch.
 KEYS = 500_000
 _LOW = 6  # ranks below 2**-_LOW are one cell, then cells double up to rank 1, then each has length 1
@@ -115,7 +115,16 @@ def band_hashes(sig: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return total.view(np.int64)
 
 
-SIGNED = "doc_id long, digest binary, signature binary, bands array<long>"
+#: A text of a document: rows that repeat a doc_id with another text are texts of their own.
+ID = "struct<doc_id:bigint,text_hash:bigint>"
+SIGNED = f"id {ID}, digest binary, signature binary, bands array<long>"
+PAIR = f"leader {ID}, id {ID}"
+
+
+def identified(docs: DataFrame) -> DataFrame:
+    """id (doc_id and a hash of the text) and text of the rows that have a doc_id."""
+    slim = documents_only(docs).where(F.col("doc_id").isNotNull())
+    return slim.select(F.struct("doc_id", F.xxhash64("text").alias("text_hash")).alias("id"), "text")
 
 
 def signed(docs: DataFrame, words: int = WORDS, counts: bool = False, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -134,10 +143,10 @@ def signed(docs: DataFrame, words: int = WORDS, counts: bool = False, bands: int
                     digests = [hashlib.blake2b(e.tobytes() + (w.tobytes() if counts else b""), digest_size=16).digest() for e, w in held]
                     flat = pa.array(np.concatenate([band_hashes(x, bands, rows) for x in sigs]))
                     lists = pa.ListArray.from_arrays(pa.array(np.arange(len(held) + 1) * bands, pa.int32()), flat)
-                    yield pa.RecordBatch.from_arrays([ids.slice(done, len(held)), pa.array(digests, pa.binary()), pa.array([x.tobytes() for x in sigs], pa.binary()), lists], ["doc_id", "digest", "signature", "bands"])
+                    yield pa.RecordBatch.from_arrays([ids.slice(done, len(held)), pa.array(digests, pa.binary()), pa.array([x.tobytes() for x in sigs], pa.binary()), lists], ["id", "digest", "signature", "bands"])
                     held, size, done = [], 0, i
 
-    return documents_only(docs).where(F.col("doc_id").isNotNull()).mapInArrow(run, SIGNED)
+    return identified(docs).mapInArrow(run, SIGNED)
 
 
 def _estimated(pairs: DataFrame, signatures: DataFrame) -> DataFrame:
@@ -153,7 +162,7 @@ def _estimated(pairs: DataFrame, signatures: DataFrame) -> DataFrame:
                 near = pa.array((a == b).mean(1) >= LEAST_ESTIMATE)
                 yield pa.RecordBatch.from_arrays(batch.columns[:2], ["leader", "id"]).filter(near)
 
-    return joined.mapInArrow(run, "leader long, id long")
+    return joined.mapInArrow(run, PAIR)
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, threshold: float) -> DataFrame:
@@ -172,7 +181,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, thre
                 near.append(similarity(weighted(a.as_py() or "", words, counts), last[1]) >= threshold)
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["leader", "id"]).filter(pa.array(near, pa.bool_()))
 
-    return joined.mapInArrow(run, "leader long, id long")
+    return joined.mapInArrow(run, PAIR)
 
 
 def _refined(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, threshold: float) -> DataFrame:
@@ -192,27 +201,30 @@ def _refined(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, thres
     other = texts.select(F.col("id").alias("pivot"), F.col("text").alias("_b"))
     joined = pairs.join(own, "id").join(other, "pivot").select("pivot", "id", "label", "_a", "_b")
     names = ["bucket", "id", "label", "size", "most"]
+    id_type = pa.struct([("doc_id", pa.int64()), ("text_hash", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
-        size, last = 0, (None, None)
+        size, last = 0, (None, None, None)
 
         def flush():
             times = [len(h[0]) for h in held]
-            cols = [np.concatenate([h[0] for h in held]).view(np.int64), *(np.repeat(np.array([h[i] for h in held]), times) for i in (1, 2, 3)), np.concatenate([h[4] for h in held])]
-            return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names)
+            of = np.repeat(np.arange(len(held)), times)
+            ids = [pa.array([h[i] for h in held], id_type).take(pa.array(of)) for i in (1, 2)]
+            numbers = [np.concatenate([h[0] for h in held]).view(np.int64), np.array([h[3] for h in held])[of], np.concatenate([h[4] for h in held])]
+            return pa.RecordBatch.from_arrays([pa.array(numbers[0]), *ids, pa.array(numbers[1]), pa.array(numbers[2])], names)
 
         for batch in batches:
             for pivot, doc, label, a, b in zip(*(batch.column(i).to_pylist() for i in range(3)), batch.column(3), batch.column(4)):
                 if last[0] != pivot:
-                    last = (pivot, weighted(b.as_py() or "", words, counts)[0])
+                    last = (pivot, weighted(b.as_py() or "", words, counts)[0], mix(np.array([pivot["doc_id"]], np.int64).view(np.uint64)) + np.array([pivot["text_hash"]], np.int64).view(np.uint64))
                 found, weights = weighted(a.as_py() or "", words, counts)
                 order = np.lexsort((found, np.isin(found, last[1], assume_unique=True)))
                 rest = np.cumsum(weights[order][::-1])[::-1]
                 size_of = float(weights.sum())
                 most = rest * (1 + threshold) / threshold - size_of + 1e-6
                 head = found[order][most >= threshold * size_of]
-                held.append((mix(head ^ mix(np.array([pivot], np.int64).view(np.uint64))), doc, label, size_of, most[: len(head)]))
+                held.append((mix(head ^ mix(last[2])), doc, label, size_of, most[: len(head)]))
                 size += len(head)
                 if size >= KEYS:
                     yield flush()
@@ -220,7 +232,7 @@ def _refined(pairs: DataFrame, texts: DataFrame, words: int, counts: bool, thres
         if held:
             yield flush()
 
-    return joined.mapInArrow(run, "bucket long, id long, label long, size double, most double")
+    return joined.mapInArrow(run, f"bucket long, id {ID}, label {ID}, size double, most double")
 
 
 def components(links: DataFrame, scratch: Scratch | None = None) -> DataFrame:
@@ -249,8 +261,15 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     ``same_set_id``: the least doc_id with the same shingle set. ``class_id``: the least doc_id that it
     is linked with by similarity ``threshold`` or more, over any number of links; ``n_links``: verified
     links of its shingle set. Null and empty texts have the empty set and so are alike;
-    rows without doc_id take no part; rows of a repeated doc_id count once
-    if their sets are equal, else the row with each set is classed.
+    rows without doc_id take no part; rows of a repeated doc_id count once if their sets are equal, else
+    each set is classed by its own text and has a row.
+    """
+    told = classed(docs, words, threshold, counts)
+    return told.select(F.col("id.doc_id").alias("doc_id"), F.col("same_set.doc_id").alias("same_set_id"), F.col("class.doc_id").alias("class_id"), "n_links").distinct()
+
+
+def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, counts: bool = False) -> DataFrame:
+    """id, same_set, class, n_links of every distinct (doc_id, text): ids of the least member each; see ``classes``.
 
     Copies are folded to one representative before anything is paired. In
     every round each bucket compares some of its members (first the few that
@@ -263,17 +282,16 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     """
     scratch = Scratch(docs.sparkSession)
     rows = scratch.keep(signed(docs, words, counts), "signed")
-    folded = rows.groupBy("digest").agg(F.min("doc_id").alias("id"))
-    reps = rows.withColumnRenamed("doc_id", "id").join(folded, ["digest", "id"], "left_semi").dropDuplicates(["id", "digest"])
+    folded = rows.groupBy("digest").agg(F.min("id").alias("id"))
+    reps = rows.join(folded, ["digest", "id"], "left_semi").dropDuplicates(["id"])
     reps = scratch.keep(reps.select("id", "digest", "signature", "bands"), "representatives")
     in_bands = reps.select("id", F.explode("bands").alias("bucket"))
-    shared = in_bands.groupBy("bucket").agg(F.min("id").alias("_l"), F.max("id").alias("_h"), F.count("*").alias("_n")).where("_l < _h").select("bucket", "_n")
+    shared = in_bands.groupBy("bucket").agg(F.count("*").alias("_n")).where("_n > 1")  # representatives differ, and a band is part of its hash
     company = F.sum("_n").over(Window.partitionBy("id")).alias("company")  # how many others a member meets: most at the middle of a crowd
     buckets = scratch.keep(in_bands.join(shared, "bucket").select("bucket", "id", company), "buckets")
     candidates = scratch.keep(buckets.select("id").distinct(), "candidates")
-    signatures = scratch.keep(reps.select("id", "signature").dropDuplicates(["id"]).join(candidates, "id"), "signatures")
-    texts = documents_only(docs).withColumnRenamed("doc_id", "id").join(candidates, "id").dropDuplicates(["id"])
-    texts = scratch.keep(texts, "texts")
+    signatures = scratch.keep(reps.select("id", "signature").join(candidates, "id"), "signatures")
+    texts = scratch.keep(identified(docs).join(candidates, "id").dropDuplicates(["id"]), "texts")
     links = label = None
     buckets, leaders_each, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), LEADERS, 0
     while not buckets.isEmpty():
@@ -294,13 +312,13 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
             members = buckets.join(firsts, "bucket").select("pivot", "id", "label").distinct()
             buckets = scratch.keep(_mixed(scratch.keep(_refined(members, texts, words, counts, threshold), "finer")), "buckets")
         turn, leaders_each = turn + 1, leaders_each * 4
-    members = rows.select("doc_id", "digest").distinct().join(folded, "digest").select("doc_id", F.col("id").alias("same_set_id"))
+    members = rows.select("id", "digest").distinct().join(folded.withColumnRenamed("id", "same_set"), "digest").select("id", "same_set")
     if links is None:
-        told = members.select("doc_id", "same_set_id", F.col("same_set_id").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
+        told = members.select("id", "same_set", F.col("same_set").alias("class"), F.lit(0).cast("long").alias("n_links"))
     else:
         ends = links.select(F.explode(F.array("leader", "id")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
-        linked = label.join(ends, "id").withColumnRenamed("id", "same_set_id")
-        told = members.join(linked, "same_set_id", "left").select("doc_id", "same_set_id", F.coalesce("label", "same_set_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+        linked = label.join(ends, "id").withColumnRenamed("id", "same_set")
+        told = members.join(linked, "same_set", "left").select("id", "same_set", F.coalesce("label", "same_set").alias("class"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
     told = materialize(told, "classes")
     scratch.drop()
     return told
@@ -308,7 +326,8 @@ def classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
 
 def _mixed(members: DataFrame) -> DataFrame:
     """Members that may be similar to one of another class in their bucket, by what they weigh and what their partners may weigh."""
-    reach = members.groupBy("bucket").agg(F.min("size").alias("_least"), F.max("most").alias("_widest"), F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h")
+    ends = [f(f"label.{c}").alias(f"_{n}_{c}") for c in ("doc_id", "text_hash") for f, n in ((F.min, "l"), (F.max, "h"))]
+    several = "_l_doc_id < _h_doc_id OR _l_text_hash < _h_text_hash"
+    reach = members.groupBy("bucket").agg(F.min("size").alias("_least"), F.max("most").alias("_widest"), *ends).where(several)
     able = members.join(reach, "bucket").where("most >= _least AND size <= _widest").select(members.columns)
-    several = able.groupBy("bucket").agg(F.min("label").alias("_l"), F.max("label").alias("_h")).where("_l < _h").select("bucket")
-    return able.join(several, "bucket")
+    return able.join(able.groupBy("bucket").agg(*ends).where(several).select("bucket"), "bucket")
