@@ -74,6 +74,13 @@ def test_classes_of_odd_rows(spark):
     assert dart_minhash.classes(frame(spark, [])).collect() == []
 
 
+def test_repeated_ids_keep_the_links_of_each_text(spark):
+    rng = random.Random(8)
+    w, v = (" ".join(rng.choice("abcdefghijklm") + str(rng.randrange(900)) for _ in range(120)) for _ in range(2))
+    got = {tuple(r) for r in dart_minhash.classes(frame(spark, [(1, w), (5, v), (5, w + " x"), (9, v + " y")])).collect()}
+    assert got == {(1, 1, 1, 1), (5, 5, 1, 1), (5, 5, 5, 1), (9, 9, 5, 1)}
+
+
 def test_signatures_estimate_weighted_similarity():
     rng = np.random.default_rng(0)
     el = rng.integers(0, 2**63, 300).astype(np.uint64)
@@ -146,12 +153,36 @@ def test_random_overlaps_equal_brute_force(spark):
 def test_repeats_of_odd_rows(spark):
     long = "".join(chr(97 + (i * i) % 26) for i in range(3000)) * 900  # longer than a batch
     rows = [(3, None), (4, ""), (5, "short"), (6, long), (7, "x" + long[100:400]), (8, "é" * 60), (9, "y" + "é" * 60)]
-    assert removed(frame(spark, [*rows, (None, long)])) == brute(rows, 50)
+    got = removed(frame(spark, [*rows, (None, long)]))
+    data = long.encode()
+    assert got.pop(None) == (len(data), 0, 0, hashlib.sha256(data).hexdigest())
+    assert got == brute(rows, 50)
     twice = removed(frame(spark, [(1, "q" * 80), (1, "q" * 80), (2, "q" * 80)]))
     assert twice[1][1] == 0 and twice[2][1] == 80
     assert removed(frame(spark, [])) == {}
 
 
+def test_rows_of_a_repeated_id_are_judged_by_their_own_texts(spark):
+    one, two = "q" * 64 + "rst", "Z" * 40 + "".join(map(chr, range(33, 100)))
+    got = sorted((r.doc_id, r.n_bytes, r.n_removed) for r in remove_repeats(frame(spark, [(1, one), (2, one), (2, two), (2, two), (3, two[5:])])).collect())
+    assert got == [(1, 67, 0), (2, 67, 67), (2, 107, 0), (2, 107, 0), (3, 102, 102)]
+
+
+def test_a_phrase_in_very_many_surroundings(spark, monkeypatch):
+    """Hot anchors: regions around them become windows of their own, with the same result."""
+    import edgecsr.llm.suffix_array as S
+
+    rng = random.Random(9)
+    phrase = "a phrase of less than fifty bytes that all share"
+    rows = [(i, "".join(rng.choice("abcdefgh ") for _ in range(60)) + phrase + rng.choice("xyz") * rng.randrange(4) + "".join(rng.choice("abcdefgh ") for _ in range(60))) for i in range(150)]
+    want = brute(rows, 50)
+    monkeypatch.setattr(S, "HOT_REGIONS", 100)
+    total, hot = S._measured(S.keyed(frame(spark, rows)), 50, 1)
+    assert len(hot) and total == sum(len(t) for _, t in rows)
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in S.remove_repeats(frame(spark, rows), sample=1).collect()}
+    assert got == want and sum(w[1] for w in want.values()) > 0
+
+
 # --- search -----------------------------------------------------------------
 
 
