@@ -56,3 +56,18 @@ def test_article_keeps_its_lists_of_links():
         want = " ".join(["First, long enough, with commas.", *[f"Reference number {i}" for i in range(n)]])
         for block in (f"<ol>{links}</ol>", f"<section><ul>{links}</ul></section>"):
             assert extract(page.format(block)) == want
+
+
+LONG = "<p>" + "A sentence of an article, with some commas, goes on for a while and ends. " * 6 + "</p>"
+
+
+def test_words_of_layout_do_not_cost_the_article():
+    want = " ".join(LONG[3:-4].split())
+    side = "<div class='sidebar'><p>Something, beside, the text.</p></div><div class='comments'><p>A reader, says, this.</p></div>"
+    for open_, close in (("<div class='content has-sidebar'>", "</div>"), ("<article class='post share-enabled'>", "</article>"), ("<main id='main-with-ads'>", "</main>"), ("<form id=page action='/'><div>", "</div></form>"), ("<form><article>", "</article></form>")):
+        assert extract(f"<body><nav>menu</nav>{side}{open_}{LONG}{close}<footer>f</footer>") == want, open_
+    assert extract(f"<body><nav>menu</nav><div class='widget'>{LONG}</div>") == want
+    assert extract(f"<body><article>{LONG}<p class='legal'>Some legal remark.</p></article>") == want + " Some legal remark."
+    assert extract(f"<body><div><div>Short lead of the text.</div><div>{LONG}{LONG}</div></div>") == f"Short lead of the text. {want} {want}"
+    assert extract(f"<body><div class=main>{LONG}</div>{side}<form><p>Write to us</p><input></form>") == want
+    assert extract("<body><nav>menu</nav><div class='cookie-notice'>We use cookies.</div><form>q</form>") == ""
