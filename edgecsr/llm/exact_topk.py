@@ -11,13 +11,12 @@ resolved in full. Parts of bounded size work alone and send k rows a query.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from edgecsr.llm.vectors import best, distinct_rows, packed, paired, queries_of, unpack, usable, widened
+from edgecsr.llm.vectors import best, distinct_rows, met, packed, queries_of, unpack, usable, widened
 
 PART_ROWS, BLOCK_ROWS = 8192, 512
 
@@ -29,7 +28,7 @@ class SortedLists:
         self.m, self.ids = distinct_rows(ids, m)
         low_first = np.argsort(self.m, axis=0, kind="stable")
         self.order = np.ascontiguousarray(low_first.T)
-        self.values = np.ascontiguousarray(np.take_along_axis(self.m, low_first, 0).T).astype(float)
+        self.values = np.ascontiguousarray(_in_doubles(np.take_along_axis(self.m, low_first, 0)).T)
 
     def _read(self, lists: np.ndarray, up: bool, depth: int, take: int) -> tuple[np.ndarray, np.ndarray]:
         """The next ``take`` entries of some lists, from their low (``up``) or their high end."""
@@ -46,7 +45,7 @@ class SortedLists:
         want = k + 1  # the query's own vector may be among them
         ends = [np.flatnonzero(q < 0), np.flatnonzero(q > 0)]  # read upwards, downwards
         lists = np.concatenate(ends)
-        weight = q[lists].astype(float)
+        weight = _in_doubles(q[lists])
         worst = np.where(weight < 0, self.values[lists, -1], self.values[lists, 0]) * weight
         known, unread = np.zeros(n), np.ones((n, len(lists)), np.float32)
         columns = np.arange(len(lists))[:, None]
@@ -77,11 +76,22 @@ class SortedLists:
         return found[:k]
 
 
+def _in_doubles(m: np.ndarray) -> np.ndarray:
+    """Numbers as doubles; what passes 64 bits is shifted down, all of an array alike. Bounds alone are made of them."""
+    if m.dtype != object:
+        return m.astype(float)
+    bits = max((abs(x) for x in m.ravel().tolist()), default=0).bit_length()
+    return (m >> max(0, bits - 500)).astype(float)
+
+
 def floored(m: np.ndarray) -> np.ndarray:
-    scaled = np.floor(1024.0 * m)
-    if scaled.size and np.abs(scaled).max() > 2**24:
-        return np.array([[int(x) for x in row] for row in scaled], dtype=object)  # products may pass 64 bits on the way
-    return scaled.astype(np.int64)
+    """floor(1024 x) of each component: 64-bit numbers if sums of products fit them, else whole numbers of any size."""
+    if not m.size or np.abs(m).max() <= 2**14:
+        return np.floor(1024.0 * m).astype(np.int64)
+    out = np.empty(m.shape, object)
+    for i, row in enumerate(m.tolist()):
+        out[i] = [math.floor(1024.0 * x) if abs(x) < 1e300 else 1024 * int(x) for x in row]
+    return out
 
 
 def search(vectors: DataFrame, every: int = 100, k: int = 10, part_rows: int = PART_ROWS, block_rows: int = BLOCK_ROWS) -> DataFrame:
@@ -89,23 +99,28 @@ def search(vectors: DataFrame, every: int = 100, k: int = 10, part_rows: int = P
 
     Vectors that are null or hold null or non-finite components, and null ids,
     take no part. Rows with the query's id are not its candidates; repeated
-    rows are candidates each. Fewer candidates than k give fewer rows.
+    rows are candidates each. Fewer candidates than k give fewer rows. Vectors
+    are ranked by their whole scores, however large; the column ``score`` ends at the bounds of 64 bits,
+    and where it does so ties of the column go to the smaller vec_id.
     """
     rows = usable(vectors)
     asked = queries_of(rows, every)
     n_parts, n_blocks = (max(1, math.ceil(d.count() / size)) for d, size in ((rows, part_rows), (asked, block_rows)))
-    blocks = packed(asked, n_blocks, block_rows).selectExpr("part as block", "width as q_width", "ids as q_ids", "matrix as q_matrix")
-    pairs = paired(packed(rows, n_parts, part_rows).drop("n"), n_parts, blocks, n_blocks)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for r in range(batch.num_rows):
-                row = {n: batch.column(i)[r].as_py() for i, n in enumerate(batch.schema.names)}
-                ids, m = unpack(row["ids"], row["matrix"], row["width"])
-                asked_ids, q = unpack(row["q_ids"], row["q_matrix"], row["q_width"])
-                width = max(row["width"], row["q_width"])
-                lists, q = SortedLists(ids, floored(widened(m, width))), floored(widened(q, width))
-                out = [(int(i), v, s) for i, x in zip(asked_ids, q) for s, v in lists.top(x, k, int(i))]
-                yield pa.RecordBatch.from_arrays([pa.array([o[c] for o in out], pa.int64()) for c in range(3)], ["query_id", "vec_id", "score"])
-
-    return best(pairs.mapInArrow(run, "query_id long, vec_id long, score long"), k)
+    blocks = packed(asked, n_blocks, block_rows).drop("n").withColumnRenamed("part", "block")
+
+    def load(row: dict) -> tuple:
+        ids, m = unpack(row["ids"], row["matrix"], row["width"])
+        return ids, m, {}
+
+    def answer(part: tuple, row: dict) -> pa.RecordBatch:
+        ids, m, lists = part
+        asked_ids, q = unpack(row["ids"], row["matrix"], row["width"])
+        width = max(m.shape[1], q.shape[1])
+        if width not in lists:  # once for a part, but where a block holds longer vectors
+            lists[width] = SortedLists(ids, floored(widened(m, width)))
+        least, most = -(2**63), 2**63 - 1
+        out = [(int(i), v, min(max(s, least), most)) for i, x in zip(asked_ids, floored(widened(q, width))) for s, v in lists[width].top(x, k, int(i))]
+        return pa.RecordBatch.from_arrays([pa.array([o[c] for o in out], pa.int64()) for c in range(3)], ["query_id", "vec_id", "score"])
+
+    found = met(packed(rows, n_parts, part_rows).drop("n"), n_parts, blocks, n_blocks, load, answer, "query_id long, vec_id long, score long")
+    return best(found, k)

@@ -12,9 +12,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgecsr.llm.common import materialize
-from edgecsr.llm.vectors import best, distinct_rows, packed, paired, queries_of, unpack, usable, widened
+from edgecsr.llm.vectors import best, distinct_rows, met, packed, queries_of, unpack, usable, widened
 
-SHARD_ROWS, BLOCK_ROWS = 4096, 512
+SHARD_ROWS, BLOCK_ROWS = 16384, 512
 #: Neighbours kept per layer (twice as many on the lowest), and the beam widths of building and of search.
 M, EF_BUILD, EF_SEARCH = 12, 56, 96
 
@@ -133,7 +133,11 @@ def normalised(m: np.ndarray) -> np.ndarray:
 
 
 def cosine(m: np.ndarray, q: np.ndarray) -> np.ndarray:
-    """Row by row alike, so equal vectors get equal scores wherever they lie."""
+    """Row by row alike, so equal vectors get equal scores wherever they lie.
+
+    Rows are first brought near 1 by powers of two, which changes no digit and keeps squares in range.
+    """
+    m, q = (np.ldexp(x, -np.frexp(np.abs(x).max(axis=-1, keepdims=True, initial=0))[1]) for x in (m, q))
     return (m * q).sum(1) / (np.sqrt((m * m).sum(1)) * math.sqrt(float((q * q).sum())))
 
 
@@ -172,26 +176,26 @@ def build_index(vectors: DataFrame, shard_rows: int = SHARD_ROWS) -> tuple[DataF
 def search(index: DataFrame, n_shards: int, asked: DataFrame, k: int = 5, ef: int = EF_SEARCH, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of every row of ``asked`` (vec_id, vector) but its own."""
     n_blocks = max(1, math.ceil(asked.count() / block_rows))
-    blocks = packed(asked, n_blocks, block_rows).selectExpr("part as block", "width as q_width", "ids as q_ids", "matrix as q_matrix")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for r in range(batch.num_rows):
-                row = {c: batch.column(i)[r].as_py() for i, c in enumerate(batch.schema.names)}
-                m = np.frombuffer(row["matrix"], np.float64).reshape(row["n_distinct"], row["width"])
-                members, cuts = np.frombuffer(row["members"], np.int64), np.frombuffer(row["member_cuts"], np.int64)
-                asked_ids, q = unpack(row["q_ids"], row["q_matrix"], row["q_width"])
-                width = max(row["width"], row["q_width"])
-                m, q = widened(m, width), widened(q, width)
-                graph = Graph.from_flat(normalised(m), row["level"], row["links"], row["entry"])
-                unit, out = normalised(q), []
-                for i, x, u in zip(asked_ids.tolist(), q, unit):
-                    near = np.array(graph.search(u, max(ef, k + 1)), int)
-                    found = [(-s, v, i) for s, j in zip(cosine(m[near], x).tolist(), near) for v in members[cuts[j] : cuts[j + 1]][: k + 1].tolist() if v != i]
-                    out += heapq.nsmallest(k, found)
-                yield pa.RecordBatch.from_arrays([pa.array([o[2] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int64()), pa.array([-o[0] for o in out], pa.float64())], ["query_id", "vec_id", "score"])
-
-    return best(paired(index, n_shards, blocks, n_blocks).mapInArrow(run, "query_id long, vec_id long, score double"), k)
+    blocks = packed(asked, n_blocks, block_rows).drop("n").withColumnRenamed("part", "block")
+
+    def load(row: dict) -> tuple:
+        m = np.frombuffer(row["matrix"], np.float64).reshape(row["n_distinct"], row["width"])
+        members, cuts = np.frombuffer(row["members"], np.int64), np.frombuffer(row["member_cuts"], np.int64)
+        return m, members, cuts, Graph.from_flat(normalised(m), row["level"], row["links"], row["entry"])
+
+    def answer(shard: tuple, row: dict) -> pa.RecordBatch:
+        m, members, cuts, graph = shard
+        asked_ids, q = unpack(row["ids"], row["matrix"], row["width"])
+        width = max(m.shape[1], q.shape[1])
+        m, q = widened(m, width), widened(q, width)
+        out = []
+        for i, x, u in zip(asked_ids.tolist(), q, normalised(q)):
+            near = np.array(graph.search(u[: graph.unit.shape[1]], max(ef, k + 1)), int)
+            found = [(-s, v, i) for s, j in zip(cosine(m[near], x).tolist(), near) for v in members[cuts[j] : cuts[j + 1]][: k + 1].tolist() if v != i]
+            out += heapq.nsmallest(k, found)
+        return pa.RecordBatch.from_arrays([pa.array([o[2] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int64()), pa.array([-o[0] for o in out], pa.float64())], ["query_id", "vec_id", "score"])
+
+    return best(met(index, n_shards, blocks, n_blocks, load, answer, "query_id long, vec_id long, score double"), k)
 
 
 def nearest(vectors: DataFrame, every: int = 50, k: int = 5) -> DataFrame:

@@ -1,6 +1,8 @@
 """Vectors in shards, and stated queries against all of them in blocks."""
 
+from __future__ import annotations
 
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -34,9 +36,10 @@ PACKED = "part int, n long, width int, ids binary, matrix binary"
 def packed(vectors: DataFrame, parts: int, rows_per_part: int) -> DataFrame:
     """Whole vectors as ``parts`` packed rows, dealt by the hash of row and id: a part holds about ``rows_per_part``.
 
-    Copies of one vector are spread over the parts, as their ids differ.
+    Copies of one vector are spread over the parts, and so are rows that repeat
+    an id: the place of a row in its file takes part, which a repeated task finds again.
     """
-    dealt = vectors.withColumn("part", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int"))
+    dealt = vectors.withColumn("part", F.pmod(F.xxhash64("vec_id", "vector", F.monotonically_increasing_id()), F.lit(parts)).cast("int"))
 
     def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
@@ -57,14 +60,34 @@ def widened(m: np.ndarray, width: int) -> np.ndarray:
     return m if m.shape[1] >= width else np.hstack([m, np.zeros((len(m), width - m.shape[1]))])
 
 
-def paired(left: DataFrame, n_left: int, right: DataFrame, n_right: int) -> DataFrame:
-    """Every part of ``left`` with every part of ``right``: both sides are dealt by the pair, so all pairs are alike.
+#: Tasks that a search over few parts is spread over; with more parts, each is one task's.
+LEAST_TASKS = 8
 
-    ``left`` has the column ``part``, ``right`` the column ``block``.
+
+def met(parts: DataFrame, n_parts: int, blocks: DataFrame, n_blocks: int, load: Callable[[dict], object], answer: Callable[[object, dict], pa.RecordBatch], schema: str) -> DataFrame:
+    """``answer(load(part), block)`` for every part with every block of queries.
+
+    Parts have the column ``part``, blocks the column ``block``; a row of either is bounded. The blocks go to all parts,
+    as the asked are the fewer. Each task loads a part once and then takes the
+    blocks one by one, so neither side has to fit in memory as a whole.
     """
-    a = left.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(max(n_right, 1) - 1))))
-    b = right.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(max(n_left, 1) - 1))))
-    return a.hint("shuffle_hash").join(b, ["part", "block"])
+    splits = max(1, min(n_blocks, -(-LEAST_TASKS // max(n_parts, 1))))
+    held = parts.select("*", F.explode(F.sequence(F.lit(0), F.lit(splits - 1))).alias("_split"), F.lit(-1).alias("block"))
+    asked = blocks.select("*", F.explode(F.sequence(F.lit(0), F.lit(max(n_parts, 1) - 1))).alias("part"), F.pmod("block", F.lit(splits)).alias("_split"))
+    both = held.unionByName(asked, allowMissingColumns=True).withColumn("_task", (F.col("part") * splits + F.col("_split")).cast("int"))
+    dealt = both.repartitionById(max(n_parts, 1) * splits, F.col("_task")).sortWithinPartitions("_task", "block")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        loaded = None, None
+        for batch in batches:
+            for r in range(batch.num_rows):
+                row = {n: batch.column(i)[r].as_py() for i, n in enumerate(batch.schema.names)}
+                if row["block"] < 0:
+                    loaded = row["part"], load(row)
+                elif row["part"] == loaded[0]:  # no rows, no part
+                    yield answer(loaded[1], row)
+
+    return dealt.mapInArrow(run, schema)
 
 
 def best(found: DataFrame, k: int) -> DataFrame:
@@ -82,6 +105,12 @@ def distinct_rows(ids: np.ndarray, m: np.ndarray) -> tuple[np.ndarray, list[np.n
     """Distinct vectors with the ids of each, ascending."""
     if not len(m):
         return m, []
+    if m.dtype == object:  # numbers beyond 64 bits
+        by: dict[tuple, list[int]] = {}
+        for i, row in zip(ids.tolist(), m.tolist()):
+            by.setdefault(tuple(row), []).append(i)
+        rows = sorted(by)
+        return np.array(rows, dtype=object).reshape(len(rows), -1), [np.array(sorted(by[r])) for r in rows]
     uniq, inverse = np.unique(m, axis=0, return_inverse=True)
     inverse = inverse.ravel()
     order = np.lexsort((ids, inverse))

@@ -1,6 +1,7 @@
 """Near duplicates, repeated strings and vector search against brute force and on odd inputs; the pipeline's stages."""
 
 import hashlib
+import math
 import random
 from collections import defaultdict
 
@@ -219,6 +220,19 @@ def test_exact_topk_of_few_and_none(spark):
     assert exact_topk.search(vectors(spark, [])).collect() == []
 
 
+def test_search_with_components_of_any_size(spark):
+    big = [(0, [1e8, 1.0]), (1, [1e8, -1e8]), (2, [-1e300, 2.0]), (3, [1.7e308, 1.0]), (4, [1e-300, 0.0]), (5, [3.0, 4.0]), (5, [3.0, 4.0])]
+    wide = spark.createDataFrame(big, "vec_id long, embedding array<double>")
+    clip = lambda x: min(max(x, -(2**63)), 2**63 - 1)
+    exact = lambda v: [math.floor(1024 * x) if abs(x) < 1e300 else 1024 * int(x) for x in v]
+    q = exact(big[0][1])
+    want = sorted(((clip(sum(a * b for a, b in zip(q, exact(v)))), i) for i, v in big[1:]), key=lambda x: (-x[0], x[1]))
+    assert [(r.score, r.vec_id) for r in exact_topk.search(wide).orderBy("rank").collect()] == want
+    got = {r.vec_id: r.score for r in hnsw.nearest(wide).collect()}
+    assert abs(got[3] - 1) < 1e-12 and abs(got[5] - (3 + 4e-8) / 5) < 1e-9 and abs(got[4] - 1) < 1e-12
+    assert abs(hnsw.cosine(np.array([[1e200, 1e200], [1e-200, 0.0]]), np.array([1e-200, 1e-200])) - [1, 0.5**0.5]).max() < 1e-12
+
+
 def test_graph_search_recall_and_scores(spark):
     rng = np.random.default_rng(3)
     centres = rng.normal(0, 1, (12, 24))
