@@ -43,8 +43,14 @@ def shared_dir(spark: SparkSession) -> str:
     return at.rstrip("/")
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write to the shared folder and read back: row order inside files stays, lineage ends."""
-    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+#: A finished write needs its shuffle files no more; Spark drops them at its end instead of at some later collection.
+CLEANED = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true"}
+
+
+def materialize(df: DataFrame, name: str, root: str | None = None) -> DataFrame:
+    """Write to the shared folder and read back: row order inside files stays, lineage ends, and so do the shuffle files."""
+    spark = df.sparkSession
+    path = f"{root or shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    with settings(spark, **CLEANED):
+        df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
