@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import gc
 import sys
 import types
 import uuid
@@ -10,23 +9,13 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from edgecsr.session import materialize, shared_dir
 
-def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
+__all__ = ["Scratch", "documents_only", "materialize", "per_worker", "read", "shared_dir"]
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names for checkpoints; tests without one get a folder under the warehouse."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_checkpoints"
-    return at.rstrip("/")
 
-
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends there and a lost executor costs nothing."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 class Scratch:
@@ -36,9 +25,7 @@ class Scratch:
         self.spark, self.root = spark, f"{shared_dir(spark)}/scratch-{uuid.uuid4().hex}"
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
-        path = f"{self.root}/{name}-{uuid.uuid4().hex}"
-        df.write.parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
+        return materialize(df, name, self.root)
 
     def drop(self) -> None:
         """Call it when nothing that is still to run reads an intermediate; without a JVM at hand they stay."""
@@ -48,17 +35,6 @@ class Scratch:
             path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def release(spark: SparkSession) -> None:
-    """Lets Spark's cleaner drop the shuffle files of finished steps now; it waits for the driver's garbage collection.
-
-    Call it when no variable refers to a finished step any more.
-    """
-    gc.collect()
-    jvm = getattr(spark, "_jvm", None)
-    if jvm is not None:
-        jvm.System.gc()
-
-
 def documents_only(docs: DataFrame) -> DataFrame:
     """Key and text alone; further columns, whatever their names, take no part."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

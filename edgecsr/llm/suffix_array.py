@@ -35,10 +35,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from edgecsr.llm.common import documents_only, materialize, release
+from edgecsr.llm.common import documents_only, materialize
 from edgecsr.llm.shingles import mix, powers
 
-LENGTH, ANCHOR, RUN = 50, 16, 8
+LENGTH, ANCHOR, RUN = 50, 20, 18
 #: Bytes of text in a group of documents, and in a batch of anchors; beyond so many groups they grow, as blobs would hold too little.
 GROUP_BYTES, BATCH_BYTES, MOST_GROUPS = 8 << 20, 2 << 20, 1 << 18
 #: Regions that a task deals out together.
@@ -335,7 +335,7 @@ def _anchored(docs: DataFrame, hot: np.ndarray, buckets: int, parts: int, length
             settled, on = _settle(doc, text, start, count, place, anchor, whole)
             rows = [(int(t % buckets), _SETTLED, b) for t, b in dealt(part_of(doc[settled], text[settled], parts), doc[settled], text[settled], start[settled], count[settled])]
             to = (anchor[on] % np.uint64(buckets)).astype(np.int64)
-            rows += [(t, _OPEN, b) for t, b in dealt(to, doc[on], text[on], start[on], count[on], place[on], anchor[on], whole[on])]
+            rows += [(t, _OPEN, b) for t, b in dealt(to, doc[on], text[on], start[on], count[on], place[on], (anchor[on] >> np.uint64(32)).astype(np.uint32), whole[on])]
             return moved(rows)
 
         n = 0
@@ -357,7 +357,7 @@ def _anchored(docs: DataFrame, hot: np.ndarray, buckets: int, parts: int, length
     return docs.mapInArrow(run, MOVED)
 
 
-REGION_KINDS = ["i4", "i4", "u8", "u8"]  # windows, anchor's place after the start, anchor, hash
+REGION_KINDS = ["i4", "i4", "u4", "u8"]  # windows, anchor's place after the start, half of its hash (the rest chose the bucket), hash of all bytes
 
 
 def _met(rows: DataFrame, parts: int) -> DataFrame:
@@ -579,10 +579,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
     total, hot = _measured(slim, length, sample)
     groups = min(max(64, int(total // GROUP_BYTES)), MOST_GROUPS)
     settled_or_open = materialize(_met(_anchored(slim, hot, groups, groups, length), groups), "regions")
-    release(docs.sparkSession)
     texts = _texts(slim, groups)
     covered = materialize(_sorted_shards(_runs(texts.union(settled_or_open.where(F.col("kind") == _OPEN)), groups, length), groups, length), "runs")
-    release(docs.sparkSession)
     kept = _kept(texts.union(settled_or_open.where(F.col("kind") == _SETTLED)).union(covered), length, with_text)
     text = F.coalesce("text", F.lit(""))
     none = F.lit(0).cast("long")
