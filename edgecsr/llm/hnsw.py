@@ -14,9 +14,9 @@ from pyspark.sql import functions as F
 from edgecsr.llm.common import materialize
 from edgecsr.llm.vectors import best, distinct_rows, met, packed, queries_of, unpack, usable, widened
 
-SHARD_ROWS, BLOCK_ROWS = 16384, 512
+SHARD_ROWS, BLOCK_ROWS = 8192, 512
 #: Neighbours kept per layer (twice as many on the lowest), and the beam widths of building and of search.
-M, EF_BUILD, EF_SEARCH = 12, 56, 96
+M, EF_BUILD, EF_SEARCH = 12, 56, 160
 
 
 class Graph:
