@@ -11,6 +11,8 @@ import math
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
+from operator import or_
 
 import numpy as np
 import pyarrow as pa
@@ -71,11 +73,19 @@ def hash_fold(text: str, folds: int) -> int:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, wanted: dict[str, Column], most: int = TRAIN_ROWS) -> DataFrame:
-    """At most ``most`` labelled documents with text, by the hash of their id: a top-k, bounded on the driver."""
-    told = labels.select(F.col("doc_id").cast("long").alias("doc_id"), *[c.cast("int").alias(n) for n, c in wanted.items()]).dropna().dropDuplicates(["doc_id"])
+    """At most ``most`` labelled documents with text, by the hash of their id: a top-k, bounded on the driver.
+
+    Of rows that repeat a doc_id with other labels or another text the least counts.
+    """
+    told = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.struct(*[c.cast("int").alias(n) for n, c in wanted.items()]).alias("told"))
+    told = told.where(F.col("doc_id").isNotNull() & ~reduce(or_, [F.col(f"told.{n}").isNull() for n in wanted]))
+    told = told.groupBy("doc_id").agg(F.min("told").alias("told")).select("doc_id", "told.*")
     known = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
     least = known.join(told, "doc_id").select("doc_id", F.xxhash64("doc_id").alias("_h")).distinct().orderBy("_h", "doc_id").limit(most)
-    return known.join(F.broadcast(least.select("doc_id")), "doc_id").join(told, "doc_id").dropDuplicates(["doc_id"])
+    found = known.join(F.broadcast(least.select("doc_id")), "doc_id")
+    rest = [c for c in found.columns if c not in ("doc_id", "text")]
+    one = found.groupBy("doc_id").agg(F.min(F.struct("text", *rest)).alias("_one")).select("doc_id", "_one.*")
+    return one.join(told, "doc_id")
 
 
 def default_chain() -> dict[str, Column]:
@@ -93,11 +103,11 @@ def score(docs: DataFrame, chain: Chain, columns: list[str] | None = None, thres
     """``columns`` of docs with ``p_<category>`` for each link and ``toxic`` (last link at or over the threshold).
 
     A null text counts as empty; every row is scored, repeated rows too. No
-    shuffle: rows are independent.
+    shuffle: rows are independent. Columns of docs that have the name of an added one give way to it.
     """
-    kept = columns or ["doc_id"]
-    schema = [docs.schema[c] for c in kept]
     names = [f"p_{c}" for c in chain.categories]
+    kept = [c for c in columns or ["doc_id"] if c not in (*names, "toxic")]
+    schema = [docs.schema[c] for c in kept]
     out = StructType([*schema, *[StructField(n, DoubleType()) for n in names], StructField("toxic", BooleanType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -106,4 +116,4 @@ def score(docs: DataFrame, chain: Chain, columns: list[str] | None = None, thres
             cols = [pa.array([r[i] for r in p], pa.float64()) for i in range(len(names))]
             yield pa.RecordBatch.from_arrays([batch.column(i) for i in range(len(kept))] + cols + [pa.array([r[-1] >= threshold for r in p], pa.bool_())], kept + names + ["toxic"])
 
-    return docs.select(*kept, F.col("text").cast("string").alias("_text")).mapInArrow(run, out)
+    return docs.select(*[F.col(f"`{c}`") for c in kept], F.col("text").cast("string")).mapInArrow(run, out)
