@@ -1,13 +1,16 @@
 """Number parsers for edge lines: expressions for whole columns, and bulk parsing of buffers.
 
 All of them end at the line end, accept blanks, tabs, commas and semicolons as
-separators, keep signs and exponents, and skip blank lines and lines that begin
-with % or #.
+separators, and skip blank lines and lines that begin with % or #. One grammar
+holds for all: an id is an optional sign and digits that fit 64 bits, a weight
+is a decimal number with an optional sign and exponent; what follows the third
+token does not count. (``digit_scan`` takes the numbers out of any line, by its nature.)
 """
 
 from __future__ import annotations
 
 import io
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,20 +22,27 @@ from pyspark.sql import functions as F
 
 PARSERS = ("generic", "format", "direct", "vector", "digit_scan")
 _NUMBER = r"[+-]?[0-9]*\.?[0-9]+(?:[eE][+-]?[0-9]+)?"
+#: White space that may stand at both ends of a line.
+BLANKS = b" \t\r\n\x0b\x0c"
+_ID = re.compile(rb"[+-]?[0-9]+\Z")
+_WEIGHT = re.compile(rb"[+-]?(?:[0-9]+\.?[0-9]*|\.[0-9]+)(?:[eE][+-]?[0-9]+)?\Z")
+_SEPARATED = bytes.maketrans(b"\t,;\r\x0b\x0c", b"      ")
+#: Bytes of regular blocks; any other sends a block through the line-by-line parse.
+_REGULAR = b"0123456789+-.eE \t,\n"
 
 
 def whole_number(c: Column) -> Column:
     """Signed 64-bit number, null where the token is none or does not fit."""
-    return c.try_cast("long")
+    return F.when(F.translate(c, "0123456789+-", "") == "", c.try_cast("long"))
 
 
 def decimal_number(c: Column) -> Column:
-    """Parsed as double, then rounded to single precision."""
-    return c.try_cast("double").cast("float")
+    """Parsed as double, then rounded to single precision; no names of numbers, no suffixes."""
+    return F.when(F.translate(c, "0123456789+-.eE", "") == "", c.try_cast("double").cast("float"))
 
 
 def _cleaned(value: Column) -> Column:
-    return F.trim(F.translate(value, "\t,;\r", "    "))
+    return F.trim(F.translate(value, "\t,;\r\x0b\x0c", "      "))
 
 
 def _tokens(df: DataFrame, parser: str) -> DataFrame:
@@ -46,7 +56,7 @@ def _tokens(df: DataFrame, parser: str) -> DataFrame:
         return df.select("*", *[F.nullif(F.regexp_extract(line, pattern, i + 1), F.lit("")).alias(n) for i, n in enumerate(("_a", "_b", "_w"))])
     if parser == "format":
         squeezed = F.regexp_replace(line, " +", " ")
-        parsed = F.from_csv(squeezed, "a string, b string, w string", {"sep": " ", "mode": "PERMISSIVE"})
+        parsed = F.from_csv(squeezed, "a string, b string, w string", {"sep": " ", "mode": "PERMISSIVE", "quote": "", "escape": ""})
         return df.withColumn("_t", parsed).select(*df.columns, F.col("_t.a").alias("_a"), F.col("_t.b").alias("_b"), F.col("_t.w").alias("_w"))
     if parser == "digit_scan":  # any other characters separate numbers
         t = F.regexp_extract_all("value", F.lit(f"({_NUMBER})"), 1)
@@ -67,7 +77,7 @@ def parse_lines(lines: DataFrame, parser: str = "direct", weighted: bool = True,
     """
     rest = [c for c in lines.columns if c != "value"]
     if parser == "vector":
-        return _parse_vector(lines, weighted, base), lines.limit(0).select(F.col("value").alias("line"), F.lit("").alias("reason"))
+        return _parse_vector(lines, weighted, base, mode), _bad_vector(lines, weighted, base)
     parsed = _tokens(data_lines(lines), parser).select(*rest, "value", whole_number(F.col("_a")).alias("src"), whole_number(F.col("_b")).alias("dst"), (decimal_number(F.col("_w")) if weighted else F.lit(1.0).cast("float")).alias("weight"), F.col("_b").alias("_b"), F.col("_w").alias("_w"))
     if weighted:
         parsed = parsed.withColumn("weight", F.when(F.col("_w").isNull(), F.lit(1.0).cast("float")).otherwise(F.col("weight")))
@@ -85,39 +95,69 @@ def parse_lines(lines: DataFrame, parser: str = "direct", weighted: bool = True,
     return good.select((F.col("src") - base).alias("src"), (F.col("dst") - base).alias("dst"), "weight", *rest), bad
 
 
-def parse_buffer(data: bytes, weighted: bool = True, base: int = 1) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Whole lines in bulk: by Arrow's csv reader if the block is regular, else line by line. Bad lines are left out."""
-    if not data.strip():
+def parse_buffer(data: bytes, weighted: bool = True, base: int = 1, bad: list[tuple[str, str]] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Whole lines in bulk: by Arrow's csv reader if the block is regular, else line by line.
+
+    Bad lines are left out; ``bad`` takes each with its reason.
+    """
+    if not data.strip(BLANKS):
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.float32)
     names, kinds = (["a", "b", "w"], {"a": pa.int64(), "b": pa.int64(), "w": pa.float64()}) if weighted else (["a", "b"], {"a": pa.int64(), "b": pa.int64()})
     sep = b"\t" if b"\t" in data[:4096] else b"," if b"," in data[:4096] else b" "
     try:
-        if data[:1] in b"%#":
-            raise pa.ArrowInvalid("comments")
+        if data.translate(None, _REGULAR):
+            raise pa.ArrowInvalid("other characters")
         t = pacsv.read_csv(io.BytesIO(data), pacsv.ReadOptions(column_names=names, use_threads=False), pacsv.ParseOptions(delimiter=sep.decode()), pacsv.ConvertOptions(column_types=kinds))
         if any(c.null_count for c in t.columns):
             raise pa.ArrowInvalid("missing values")
         a, b = t.column("a").to_numpy(), t.column("b").to_numpy()
         w = t.column("w").to_numpy().astype(np.float32) if weighted else np.ones(len(a), np.float32)
+        fine = (a >= base) & (b >= base)
+        if fine.all() or bad is None:
+            return a[fine] - base, b[fine] - base, w[fine]
     except pa.ArrowInvalid:
-        rows = []
-        for line in data.translate(bytes.maketrans(b"\t,;\r", b"    ")).split(b"\n"):
-            parts = line.split()
-            if not parts or parts[0][:1] in b"%#":
-                continue
-            try:
-                a, b = int(parts[0]), int(parts[1])
-                w = float(parts[2]) if weighted and len(parts) > 2 else 1.0
-            except (ValueError, IndexError):
-                continue
-            if -(2**63) <= a < 2**63 and -(2**63) <= b < 2**63:
-                rows.append((a, b, w))
+        pass
+    rows = []
+    for line in data.split(b"\n"):
+        bare = line.strip(BLANKS)
+        if not bare or bare[:1] in b"%#":
+            continue
+        parts = line.translate(_SEPARATED).split()
+        reason, w = None, 1.0
+        if len(parts) < 2:
+            reason = "missing target"
+        elif not (_ID.match(parts[0]) and _ID.match(parts[1])) or max(map(len, parts[:2])) > 400 or not all(-(2**63) <= int(x) < 2**63 for x in parts[:2]):
+            reason = "bad id"
+        elif min(int(parts[0]), int(parts[1])) < base:
+            reason = "below index base"
+        elif weighted and len(parts) > 2:
+            if _WEIGHT.match(parts[2]):
+                w = float(parts[2])
+            else:
+                reason = "bad weight"
+        if reason is None:
+            rows.append((int(parts[0]) - base, int(parts[1]) - base, w))
+        elif bad is not None:
+            bad.append((line.decode("utf-8", "replace"), reason))
+    with np.errstate(over="ignore"):
         a, b, w = (np.array([r[i] for r in rows], t) for i, t in enumerate((np.int64, np.int64, np.float32)))
-    fine = (a >= base) & (b >= base)
-    return a[fine] - base, b[fine] - base, w[fine]
+    return a, b, w
+
+
+def _bad_vector(lines: DataFrame, weighted: bool, base: int) -> DataFrame:
+    """Bad records of the bulk parse: computed only if they are asked for."""
+
+    def run(found: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in found:
+            bad: list[tuple[str, str]] = []
+            parse_buffer("\n".join([v for v in batch.column(0).to_pylist() if v is not None]).encode(), weighted, base, bad)
+            if bad:
+                yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in bad], pa.string()) for i in (0, 1)], ["line", "reason"])
+
+    return lines.select("value").mapInArrow(run, "line string, reason string")
 
 
-def _parse_vector(lines: DataFrame, weighted: bool, base: int) -> DataFrame:
+def _parse_vector(lines: DataFrame, weighted: bool, base: int, mode: str = "PERMISSIVE") -> DataFrame:
     """Bulk parse of Arrow batches of lines; further columns must be integers and are kept."""
     rest = [c for c in lines.columns if c != "value"]
     kinds = ", ".join(f"{c} {lines.schema[c].dataType.simpleString()}" for c in rest)
@@ -135,7 +175,10 @@ def _parse_vector(lines: DataFrame, weighted: bool, base: int) -> DataFrame:
                     by.setdefault(tuple(key), []).append(value)
                 groups = list(by.items())
             for key, values in groups:
-                src, dst, w = parse_buffer("\n".join(values).encode(), weighted, base)
+                bad: list[tuple[str, str]] | None = [] if mode == "FAILFAST" else None
+                src, dst, w = parse_buffer("\n".join([v for v in values if v is not None]).encode(), weighted, base, bad)
+                if bad:
+                    raise ValueError(f"bad edge line: {bad[0][0]}")
                 more = [pa.array(np.full(len(src), k), batch.schema.field(i + 1).type) for i, k in enumerate(key)]
                 yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst), pa.array(w, pa.float32()), *more], ["src", "dst", "weight", *rest])
 

@@ -6,7 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udf, udtf
-from pyspark.sql.types import DoubleType, IntegerType, StringType, StructField, StructType
+from pyspark.sql.types import DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
 from edgecsr.functions.parse import parse_buffer
 from edgecsr.schema import EDGE
@@ -48,10 +48,35 @@ class Kmers:
             yield i, text[i : i + k]
 
 
+@udtf(returnType=StructType([StructField("pos", IntegerType()), StructField("token", StringType())]))
+class EdgeTokens:
+    """The tokens of an edge line in order."""
+
+    def eval(self, line: str):
+        yield from enumerate((line or "").translate(str.maketrans("\t,;\r", "    ")).split())
+
+
+@udtf(returnType=StructType([StructField("vertex", LongType()), StructField("target", LongType())]))
+class CsrNeighbors:
+    """Every (vertex, target) of a CSR block."""
+
+    def eval(self, base_vertex: int, base_offset: int, offsets: list, targets: list):
+        for i, (a, b) in enumerate(zip(offsets, offsets[1:])):
+            for t in targets[a - base_offset : b - base_offset]:
+                yield base_vertex + i, t
+
+
+def register_views(graph_edges, csr) -> None:
+    """SQL views ``edges``, ``csr_vertices`` and ``csr_slots`` over a graph and its CSR."""
+    for name, df in (("edges", graph_edges), ("csr_vertices", csr.vertices), ("csr_slots", csr.slots)):
+        df.createOrReplaceTempView(name)
+
+
 def register(spark) -> None:
-    """SQL names: parse_edge(line), degree_gini(degree), kmers(text, k), and the expression twins edge_src, edge_dst, edge_weight."""
+    """SQL names: parse_edge(line), degree_gini(degree), kmers(text, k), edge_tokens(line), csr_neighbors(base_vertex, base_offset, offsets, targets), and the expression twins edge_src, edge_dst, edge_weight."""
     spark.udf.register("parse_edge", parse_edge_row)
     spark.udf.register("degree_gini", degree_gini)
-    spark.udtf.register("kmers", Kmers)
+    for table_name, made in (("kmers", Kmers), ("edge_tokens", EdgeTokens), ("csr_neighbors", CsrNeighbors)):
+        spark.udtf.register(table_name, made)
     for name, i, kind in (("edge_src", 0, "bigint"), ("edge_dst", 1, "bigint"), ("edge_weight", 2, "double")):
         spark.sql(f"create or replace temporary function {name}(line string) returns {kind} return try_cast(get(split(trim(translate(line, '\\t,;', '   ')), ' +'), {i}) as {kind})")

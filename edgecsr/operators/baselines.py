@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from edgecsr.functions.parse import data_lines, parse_lines
+from edgecsr.functions.parse import parse_lines
 from edgecsr.operators.csr import build_single, offsets
 from edgecsr.operators.degrees import degrees
 from edgecsr.operators.readers import read_edges
 from edgecsr.schema import Csr, Graph, GraphMeta
 from edgecsr.session import materialize
+from edgecsr.sources.block_source import scan_slices
 
 
 def sequential_csr(spark: SparkSession, path: str, flavour: str = "line", **options) -> Csr:
@@ -28,19 +29,12 @@ def two_pass_edges(spark: SparkSession, path: str, weighted: bool = True, index_
     Slices are equal and static. The second pass places each slice's edges
     after those of the slices before it.
     """
-    from pyspark.sql import Window
-
-    slices = slices or spark.sparkContext.defaultParallelism
-    lines = spark.read.option("recursiveFileLookup", "true").text(path)
-    key = F.struct(F.col("_metadata.file_name").alias("f"), F.col("_metadata.file_block_start").alias("s"))
-    counted = data_lines(lines.select("value", key.alias("slice"))).groupBy("slice").agg(F.count("*").alias("n"))
+    lines = scan_slices(spark, path, slices or spark.sparkContext.defaultParallelism)
+    counted = lines.groupBy("slice").agg(F.count("*").alias("n"))
     w = Window.orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
-    bases = counted.select("slice", F.coalesce(F.sum("n").over(w), F.lit(0)).alias("base"))  # one row per slice
-    place = F.monotonically_increasing_id()
-    parsed, _ = parse_lines(lines.select("value", key.alias("slice"), place.alias("_at")), "direct", weighted, index_base)
-    first = parsed.groupBy("slice").agg(F.min("_at").alias("_first"))
-    at = Window.partitionBy("slice").orderBy("_at")
-    return parsed.join(first, "slice").join(F.broadcast(bases), "slice").select((F.col("base") + F.row_number().over(at) - 1).cast("long").alias("edge_index"), "src", "dst", "weight")
+    bases = counted.select("slice", F.coalesce(F.sum("n").over(w), F.lit(0)).alias("base"))  # one row per slice: their number is an argument
+    parsed, _ = parse_lines(lines, "direct", weighted, index_base)
+    return parsed.join(F.broadcast(bases), "slice").select((F.col("base") + F.col("at")).alias("edge_index"), "src", "dst", "weight")
 
 
 def two_pass_csr(spark: SparkSession, path: str, **options) -> Csr:

@@ -134,6 +134,12 @@ def neighbors(csr: Csr, vertices: DataFrame) -> DataFrame:
     return csr.slots.join(vertices.select("vertex").distinct(), "vertex", "left_semi")
 
 
+def degree_of(csr: Csr, vertices: DataFrame) -> DataFrame:
+    """(vertex, degree) of the given vertices; what is no vertex of the graph has degree 0."""
+    asked = vertices.select("vertex").distinct()
+    return asked.join(csr.vertices.select("vertex", "degree"), "vertex", "left").select("vertex", F.coalesce("degree", F.lit(0)).alias("degree"))
+
+
 def slot_range(csr: Csr, vertices: DataFrame) -> DataFrame:
     return csr.vertices.join(vertices.select("vertex").distinct(), "vertex").select("vertex", F.col("offset").alias("first_slot"), (F.col("offset") + F.col("degree")).alias("end_slot"))
 

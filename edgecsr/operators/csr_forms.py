@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -35,17 +36,16 @@ def to_blocks(csr: Csr, vertices_per_block: int = 4096) -> DataFrame:
     s = csr.slots.select(F.floor(F.col("vertex") / size).alias("block_id"), "vertex", F.lit(None).cast("long").alias("degree"), "slot", "target", "weight")
 
     def pack(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
-        slot = t.column("slot").to_pandas().to_numpy()
-        is_slot = ~np.isnan(slot.astype(float))
-        vertex = t.column("vertex").to_numpy()
-        order = np.argsort(vertex[~is_slot], kind="stable")
-        degree = t.column("degree").to_pandas().to_numpy()[~is_slot].astype(np.int64)[order]
-        by_slot = np.argsort(slot[is_slot].astype(np.int64), kind="stable")
-        target = t.column("target").to_pandas().to_numpy()[is_slot].astype(np.int64)[by_slot]
-        weight = t.column("weight").to_pandas().to_numpy()[is_slot].astype(np.float32)[by_slot]
-        base = int(slot[is_slot].min()) if is_slot.any() else 0
+        own, edges = t.filter(pc.is_null(t.column("slot"))), t.filter(pc.is_valid(t.column("slot")))
+        vertex = own.column("vertex").to_numpy()
+        degree = own.column("degree").to_numpy()[np.argsort(vertex, kind="stable")]
+        slot = edges.column("slot").to_numpy()
+        by_slot = pa.array(np.argsort(slot, kind="stable"))
+        base = int(slot.min()) if len(slot) else 0
         offsets = base + np.concatenate([[0], np.cumsum(degree)]).astype(np.int64)
-        return pa.table({"block_id": pa.array([key[0].as_py()], pa.int64()), "base_vertex": pa.array([int(vertex[~is_slot].min())], pa.int64()), "base_offset": pa.array([base], pa.int64()), "offsets": pa.array([offsets.tolist()], pa.list_(pa.int64())), "targets": pa.array([target.tolist()], pa.list_(pa.int64())), "weights": pa.array([weight.tolist()], pa.list_(pa.float32()))})
+        lists = [pa.array(offsets), *(edges.column(c).take(by_slot).combine_chunks() for c in ("target", "weight"))]
+        cols = [pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x) for x in lists]
+        return pa.table([pa.array([key[0].as_py()], pa.int64()), pa.array([int(vertex.min())], pa.int64()), pa.array([base], pa.int64()), *cols], ["block_id", "base_vertex", "base_offset", "offsets", "targets", "weights"])
 
     return v.union(s).groupBy("block_id").applyInArrow(pack, BLOCK)
 
@@ -66,11 +66,12 @@ def from_adjacency(rows: DataFrame) -> DataFrame:
 
 
 def from_blocks(blocks: DataFrame) -> DataFrame:
-    """Slots of block rows: each place in ``targets`` belongs to the last vertex whose offset is not beyond it."""
-    placed = blocks.select("base_vertex", "base_offset", "offsets", F.posexplode(F.arrays_zip("targets", "weights")).alias("pos", "e"))
-    slot = F.col("base_offset") + F.col("pos")
-    owner = F.col("base_vertex") + F.size(F.filter("offsets", lambda o: o <= slot)) - 1
-    return placed.select(slot.alias("slot"), owner.alias("vertex"), F.col("e.targets").alias("target"), F.col("e.weights").alias("weight"))
+    """Slots of block rows: each vertex takes its run of ``targets`` between its offset and the next."""
+    run = F.arrays_zip("targets", "weights")
+    rows = blocks.select("base_vertex", "base_offset", "offsets", run.alias("_run"), F.posexplode(F.expr("slice(offsets, 1, size(offsets) - 1)")).alias("_v", "_from"))
+    n = F.get("offsets", F.col("_v") + 1) - F.col("_from")
+    own = rows.where(n > 0).select((F.col("base_vertex") + F.col("_v")).alias("vertex"), "_from", F.slice("_run", (F.col("_from") - F.col("base_offset") + 1).cast("int"), n.cast("int")).alias("_run"))
+    return own.select("vertex", "_from", F.posexplode("_run").alias("_i", "_e")).select((F.col("_from") + F.col("_i")).alias("slot"), "vertex", F.col("_e.targets").alias("target"), F.col("_e.weights").alias("weight"))
 
 
 def map_blocks(blocks: DataFrame, kernel, schema: str) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from edgecsr.functions.parse import parse_lines
@@ -10,10 +10,11 @@ from edgecsr.operators.csr import build_csr
 from edgecsr.operators.degrees import combine_degrees, degrees, partial_degrees
 from edgecsr.operators.edges import symmetrize
 from edgecsr.schema import Csr, Graph, GraphMeta
-from edgecsr.session import settings
+from edgecsr.session import materialize
 from edgecsr.sources import block_source
+from edgecsr.sources.block_source import scan_slices
 from edgecsr.sources.edgetext import scan_lines
-from edgecsr.sources.mtx import mtx_body, read_mtx_header
+from edgecsr.sources.mtx import has_banner, mtx_body, read_mtx_header
 
 METHODS = ("serial", "line_block", "block", "block_vector")
 
@@ -40,6 +41,7 @@ def read_edges(
     lines_per_block: int = 131072,
     parse_chunk: int = 1024,
     source: str = "text",
+    line_source: str = "text",
     honor_header: bool = True,
     with_degrees: str = "none",
     schedule: str = "dynamic",
@@ -48,12 +50,18 @@ def read_edges(
 
     serial        one task reads and parses (pattern by pattern)
     line_block    one task reads; blocks of lines are dealt to all tasks and parsed there
-                  (parser 'direct', or 'format' for a format-driven parse)
+                  (parser 'direct', or 'format' for a format-driven parse); with ``line_source='buffered'``
+                  that task takes ``parse_chunk`` lines at a time out of a file buffer
     block         file splits are read where they are, parsed by expressions
     block_vector  file splits are read where they are, parsed in bulk per Arrow batch;
                   ``source='blocks'`` reads byte blocks through the Python source
-    Flags are settled here, so each setting is a plan of its own.
+    ``schedule='static'`` gives each slot one slice of the same number of bytes; 'dynamic' deals out as many splits as there are.
+    Flags are settled here, so each setting is a plan of its own. ``header='auto'`` looks for a Matrix Market banner.
+    With degrees, the edges are written once, and degrees come from what was written: the text is read and parsed once.
     """
+    slices = spark.sparkContext.defaultParallelism if schedule == "static" else None
+    if header == "auto":
+        header = "mtx" if has_banner(spark, path) else "none"
     meta = GraphMeta(weighted=weighted is not False)
     skew = False
     if header == "mtx":
@@ -65,27 +73,29 @@ def read_edges(
         meta = GraphMeta(n, max(h.rows, h.cols) if symmetric else h.cols, bool(symmetric), weighted)
     weighted = weighted is not False
     if header == "mtx":
-        lines = mtx_body(spark, path, h).select("value", F.pmod(F.crc32(F.col("_metadata.file_name")) + F.floor(F.col("_metadata.file_block_start") / block_bytes), F.lit(parts)).cast("int").alias("part"))
-    elif schedule == "static":
-        with settings(spark, **{"spark.sql.files.openCostInBytes": "0"}):
-            lines = scan_lines(spark, path, block_bytes, parts).coalesce(spark.sparkContext.defaultParallelism)
+        lines = mtx_body(spark, path, h, parts)
+    elif slices:
+        lines = scan_slices(spark, path, slices).select("value", F.pmod("slice", F.lit(parts)).cast("int").alias("part"))
     else:
-        lines = scan_lines(spark, path, block_bytes, parts)
+        lines = scan_lines(spark, path, parts)
     if method == "serial":
         edges, bad = parse_lines(lines.coalesce(1), parser or "generic", weighted, index_base, mode)
     elif method == "line_block":
-        numbered = (_one_task_lines(spark, path) if header != "mtx" else lines.coalesce(1).select("value", F.monotonically_increasing_id().alias("_line")))
+        if line_source == "buffered" and header != "mtx":
+            numbered = scan_slices(spark, path, 1, parse_chunk).select("value", F.col("at").alias("_line"))
+        elif header != "mtx":
+            numbered = _one_task_lines(spark, path)
+        else:
+            numbered = lines.coalesce(1).select("value", F.monotonically_increasing_id().alias("_line"))
         dealt = numbered.withColumn("_block", F.floor(F.col("_line") / lines_per_block)).repartition("_block")
         dealt = dealt.select("value", F.pmod("_block", F.lit(parts)).cast("int").alias("part"))
-        if parser == "vector":
-            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(parse_chunk))
         edges, bad = parse_lines(dealt, parser or "direct", weighted, index_base, mode)
     elif method == "block":
         edges, bad = parse_lines(lines, parser or "direct", weighted, index_base, mode)
     elif method == "block_vector" and source == "blocks":
         block_source.register(spark)
-        read = spark.read.format("edgeblocks").options(path=path, block_bytes=block_bytes, weighted=str(weighted).lower(), index_base=index_base).load()
-        edges, bad = read.select("src", "dst", "weight", F.pmod("block", F.lit(parts)).cast("int").alias("part")), None
+        read = spark.read.format("edgeblocks").options(path=path, block_bytes=block_bytes, weighted=str(weighted).lower(), index_base=index_base, **({"slices": slices} if slices else {})).load()
+        edges, bad = read.select("src", "dst", "weight", F.pmod("block", F.lit(parts)).cast("int").alias("part")), parse_lines(scan_lines(spark, path, parts), "vector", weighted, index_base)[1]
     elif method == "block_vector":
         edges, bad = parse_lines(lines, parser or "vector", weighted, index_base, mode)
     else:
@@ -93,17 +103,28 @@ def read_edges(
     if symmetric:
         edges = symmetrize(edges, self_loops, -1 if skew else 1)
         meta = meta.having(symmetric=True)
-    found = None
-    if with_degrees == "parts":
-        found = partial_degrees(edges)
-    elif with_degrees != "none":
-        found = degrees(edges, with_degrees)
-    return Graph(edges, meta, bad, found)
+    graph = Graph(edges, meta, bad)
+    if with_degrees != "none":
+        graph = settled(graph)
+        graph.degrees = partial_degrees(graph.edges) if with_degrees == "parts" else degrees(graph.edges, with_degrees)
+    return graph
+
+
+def settled(graph: Graph) -> Graph:
+    """The graph with its edges written once; the greatest source and target are seen on the way, so sizes need no pass of their own."""
+    seen = Observation()
+    edges = materialize(graph.edges.observe(seen, F.max("src").alias("src"), F.max("dst").alias("dst")), "edges")
+    found = seen.get
+    rows, cols = ((found.get(c) if found.get(c) is not None else -1) + 1 for c in ("src", "dst"))
+    if graph.meta.symmetric:
+        rows = cols = max(rows, cols)
+    meta = graph.meta.having(n_rows=rows if graph.meta.n_rows is None else graph.meta.n_rows, n_cols=cols if graph.meta.n_cols is None else graph.meta.n_cols)
+    return Graph(edges, meta, graph.bad, graph.degrees)
 
 
 def read_csr(spark: SparkSession, path: str, csr_method: str = "auto", order: str = "canonical", csr_parts: int = 4, **read_options) -> Csr:
-    """Reading and conversion: the operation that the study times."""
-    return build_csr(read_edges(spark, path, **read_options), csr_method, parts=csr_parts, order=order)
+    """Reading and conversion: the operation that the study times. The text is read and parsed once."""
+    return build_csr(settled(read_edges(spark, path, **read_options)), csr_method, parts=csr_parts, order=order)
 
 
 def degrees_while_reading(graph: Graph) -> DataFrame:

@@ -88,6 +88,11 @@ def scaling(found: DataFrame) -> DataFrame:
     return s.withColumn("per_doubling", F.when(times > 1, F.pow("speedup", 1 / F.log2(times)))).drop("_base", "_cores")
 
 
+def failures(found: DataFrame) -> DataFrame:
+    """Runs that have no number, of all runs."""
+    return found.groupBy("graph", "method").agg(F.count_if(F.col("status") != "ok").alias("failed"), F.count("*").alias("runs"))
+
+
 def per_doubling(speedup_value: float, doublings: float) -> float:
     return speedup_value ** (1.0 / doublings)
 

@@ -104,11 +104,14 @@ def _reader(name: str, g: str = "supp_part", text: dict | None = None, **options
 _reader("edges_serial", method="serial")
 _reader("edges_line_block", method="line_block")
 _reader("edges_line_block_format", method="line_block", parser="format")
-_reader("edges_buffered_direct", method="line_block", parser="direct", lines_per_block=8192)
+_reader("edges_buffered_format", method="line_block", line_source="buffered", parser="format")
+_reader("edges_buffered_direct", method="line_block", line_source="buffered", parser="direct")
 _reader("edges_block_direct", method="block")
 _reader("edges_block_vector", method="block_vector")
 _reader("edges_block_source", method="block_vector", source="blocks", block_bytes=65536)
 _reader("edges_static_schedule", method="block", schedule="static")
+_reader("edges_static_blocks", method="block_vector", source="blocks", schedule="static")
+_reader("edges_header_auto", header="auto")
 _reader("edges_digit_scan", method="block", parser="digit_scan")
 _reader("edges_generic_parser", method="block", parser="generic")
 _reader("edges_index_base0", text={"index_base": 0}, index_base=0)
@@ -138,6 +141,12 @@ def edges_bad_records(spark, sf_dir):
     return parse_lines(lines)[1].groupBy("reason").agg(F.count("*").alias("n"))
 
 
+@query("select * from (values ('missing target', 1::bigint), ('bad id', 2::bigint), ('below index base', 1::bigint), ('bad weight', 1::bigint)) t(reason, n)")
+def edges_bad_records_vector(spark, sf_dir):
+    lines = spark.createDataFrame([("5",), ("6 x",), ("9223372036854775808 1",), ("0 1",), ("1 2 z",), ("7 8 -1.5e3",), ("% c",)], "value string")
+    return parse_lines(lines, "vector")[1].groupBy("reason").agg(F.count("*").alias("n"))
+
+
 @query("select * from (values (0::bigint, 1::bigint, 1.0::double), (2, 3, 1.0), (6, 7, -1500.0), (9, 1, 0.25)) t(src, dst, weight)")
 def parse_numbers(spark, sf_dir):
     lines = spark.createDataFrame([("  1\t2 ",), ("3,4",), ("7 8 -1.5e3",), ("+10 02 .25\r",)], "value string")
@@ -178,6 +187,19 @@ def edges_mtx_skew(spark, sf_dir):
     return out(read_edges(spark, _mtx(spark, sf_dir, "copurchase", "real", "skew-symmetric", True), "block", header="mtx").edges)
 
 
+@query("with e as (select l_suppkey as src, l_partkey as dst, l_quantity::float::double as weight from lineitem), n as (select max(src) as r, max(dst) as c, count(*) + 2 as n from e) select * from e union all select r, c, n::double from n union all select r, c, n::double from n")
+def edges_mtx_entry_like_size(spark, sf_dir):
+    """Two entries that read just like the size line stay."""
+    e = W.graph(spark, sf_dir, "supp_part")
+    top = e.agg(F.max("src").alias("src"), F.max("dst").alias("dst"), F.lit(0.0).cast("float").alias("weight"), (F.count("*") + 2).alias("n"))
+    path = f"{shared_dir(spark)}/mtx-like-size-{abs(hash(sf_dir))}-{spark.sparkContext.applicationId}"
+    r, c, _, n = top.first()
+    head = f"%%MatrixMarket matrix coordinate real general\n% entries like the size line\n{r + 1} {c + 1} {n}\n{r + 1} {c + 1} {n}\n{r + 1} {c + 1} {n}"
+    spark.createDataFrame([(head,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/part=0")
+    edgetext.write_edges(e, f"{path}/part=1")
+    return out(read_edges(spark, path, header="mtx").edges)
+
+
 @query(f"select src, dst, 1.0::double as weight from ({G['order_part']})")
 def edges_mtx_pattern(spark, sf_dir):
     return out(read_edges(spark, _mtx(spark, sf_dir, "order_part", "pattern"), "block", header="mtx").edges)
@@ -303,14 +325,13 @@ def _csr(name: str, g: str, build: str, what: str, **options):
 
 
 for _m in ("single", "staged", "sorted", "auto"):
-    _csr(f"csr_{_m}_offsets", "supp_part", _m, "offsets", method="block")
-    if _m != "auto":
-        _csr(f"csr_{_m}_slots", "supp_part", _m, "slots", method="block")
+    _csr(f"csr_{_m}_offsets", "supp_part", _m, "offsets")
+    _csr(f"csr_{_m}_slots", "supp_part", _m, "slots")
 for _g in ("nation_region", "order_chain", "part_size", "label_doc", "vec_label", "supp_nation", "nation_cust", "turns"):
-    _csr(f"csr_{_g}", _g, "auto", "offsets", method="block")
-_csr("csr_user_next_selfloops", "user_next", "sorted", "slots", method="block")
-_csr("csr_isolated_vertices", "order_part", "staged", "offsets", method="block")
-_csr("csr_weighted_prices", "cust_order", "sorted", "slots", method="block")
+    _csr(f"csr_{_g}", _g, "auto", "offsets")
+_csr("csr_user_next_selfloops", "user_next", "sorted", "slots")
+_csr("csr_isolated_vertices", "order_part", "staged", "offsets")
+_csr("csr_weighted_prices", "cust_order", "sorted", "slots")
 
 
 def _csr_k(k: int):
@@ -342,7 +363,7 @@ def csr_merge_order(spark, sf_dir):
 
 @query(offset_sql("copurchase_both", "greatest(max(src), max(dst)) + 1"))
 def csr_symmetric(spark, sf_dir):
-    return read_csr(spark, _mtx(spark, sf_dir, "copurchase", "pattern", "symmetric", True), "sorted", method="block", header="mtx").vertices
+    return read_csr(spark, _mtx(spark, sf_dir, "copurchase", "pattern", "symmetric", True), "sorted", header="mtx").vertices
 
 
 @query(f"{offset_sql('select dst as src, src as dst, weight from (' + G['part_size'] + ')')}")
@@ -399,27 +420,28 @@ def csr_from_adjacency(spark, sf_dir):
 
 
 @query(slot_sql("supp_part"))
-def neighbors_of_all(spark, sf_dir):
+def neighbors_of(spark, sf_dir):
     csr = C.build_csr(graph_of(spark, sf_dir, "supp_part"), "sorted")
     return slots_out(C.neighbors(csr, csr.vertices))
 
 
 @query(f"select vertex, \"offset\" as first_slot, \"offset\" + degree as end_slot from ({offset_sql('part_supp')}) where vertex < (select max(l_partkey) + 1 from lineitem)")
-def slot_range_all(spark, sf_dir):
+def slot_range(spark, sf_dir):
     csr = C.build_csr(graph_of(spark, sf_dir, "part_supp"), "staged")
     return C.slot_range(csr, csr.vertices.where(f"vertex < {csr.meta.n_rows}"))
 
 
-@query(f"select slot, vertex, target, weight from ({slot_sql('supp_part')}) where vertex % 10 = 3")
-def neighbors_of(spark, sf_dir):
-    csr = C.build_csr(graph_of(spark, sf_dir, "supp_part"), "sorted")
-    return slots_out(C.neighbors(csr, csr.vertices.where("vertex % 10 = 3")))
+@query(degree_sql("part_supp"))
+def degree_of(spark, sf_dir):
+    csr = C.build_csr(graph_of(spark, sf_dir, "part_supp"), "staged")
+    return C.degree_of(csr, csr.slots.select("vertex"))
 
 
-@query(f"select vertex, \"offset\" as first_slot, \"offset\" + degree as end_slot from ({offset_sql('part_supp')}) where vertex % 7 = 0 and vertex < (select max(l_partkey) + 1 from lineitem)")
-def slot_range(spark, sf_dir):
-    csr = C.build_csr(graph_of(spark, sf_dir, "part_supp"), "staged")
-    return C.slot_range(csr, csr.vertices.where(f"vertex % 7 = 0 and vertex < {csr.meta.n_rows}"))
+@query(slot_sql("part_supp"))
+def csr_files_roundtrip(spark, sf_dir):
+    path = f"{shared_dir(spark)}/csr-{abs(hash(sf_dir))}-{spark.sparkContext.applicationId}"
+    edgetext.write_csr(C.build_csr(graph_of(spark, sf_dir, "part_supp"), "sorted"), path)
+    return slots_out(edgetext.read_csr_files(spark, path).slots)
 
 
 @query(f"select n_nationkey::bigint as vertex, r_regionkey::bigint as target, exists (select 1 from ({G['nation_region']}) e where e.src = n_nationkey and e.dst = r_regionkey) as found from nation, region")
@@ -468,6 +490,7 @@ def collect_list_csr(spark, sf_dir):
 
 def _baseline(name, make):
     query(offset_sql("supp_part"), name)(lambda spark, sf_dir: make(spark, W.exported(spark, sf_dir, "supp_part")).vertices)
+    query(slot_sql("supp_part"), name.replace("_csr", "_slots"))(lambda spark, sf_dir: slots_out(make(spark, W.exported(spark, sf_dir, "supp_part")).slots))
 
 
 _baseline("sequential_line_csr", lambda s, p: baselines.sequential_csr(s, p))
@@ -499,9 +522,25 @@ def _encoded_sql(names: str) -> str:
 select a.v as src, b.v as dst from e join n a on a.name = src_name join n b on b.name = dst_name"""
 
 
-@query(_encoded_sql(NAMES["word_doc"]))
+@query(f"select src, count(*) as n_edges, sum(dst)::bigint as dst_sum from ({_encoded_sql(NAMES['word_doc'])}) group by 1")
 def encode_word_doc(spark, sf_dir):
-    return E.encode_vertices(W.graph(spark, sf_dir, "word_doc"))[0].select("src", "dst")
+    """Every edge of the encoded graph takes part; sums per source keep the SQL side small."""
+    return E.encode_vertices(W.graph(spark, sf_dir, "word_doc"))[0].groupBy("src").agg(F.count("*").alias("n_edges"), F.sum("dst").alias("dst_sum"))
+
+
+@query(f"select src_name, dst_name from ({NAMES['kmer8'].replace(' 8', ' 16').replace('> 8', '> 16').replace('- 8', '- 16')})")
+def kmer16_edges(spark, sf_dir):
+    return W.graph(spark, sf_dir, "kmer16").select("src_name", "dst_name")
+
+
+@query("select dst_name as src_name, src_name as dst_name from (" + NAMES["word_doc"] + ") where src_name <> ''")
+def doc_word_edges(spark, sf_dir):
+    return W.graph(spark, sf_dir, "word_doc").select(F.col("dst_name").alias("src_name"), F.col("src_name").alias("dst_name"))
+
+
+@query("select unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as src_name, regexp_extract(url, '^[a-z]+://([^/]+)', 1) as dst_name from pages")
+def link_host_edges(spark, sf_dir):
+    return W.graph(spark, sf_dir, "host_link").select(F.col("dst_name").alias("src_name"), F.col("src_name").alias("dst_name"))
 
 
 @query(offset_sql(_encoded_sql(NAMES["word_doc"]).replace("b.v as dst", "b.v as dst, 1.0 as weight")))
@@ -534,16 +573,6 @@ for _g in ("user_k", "copurchase", "order_chain", "user_next", "turns"):
 # --- graph operators --------------------------------------------------------
 
 
-@query(
-    """with recursive e as (select distinct src, dst from (select n_nationkey::bigint as src, (n_nationkey * 2 % 25)::bigint as dst from nation union all select n_nationkey::bigint, ((n_nationkey + 5) % 25)::bigint from nation)),
-r(vertex, level) as (select 1::bigint, 0 union select e.dst, r.level + 1 from r join e on e.src = r.vertex where r.level < 30) select vertex, min(level)::int as level from r group by 1"""
-)
-def bfs_levels(spark, sf_dir):
-    n = W.table(spark, sf_dir, "nation")
-    e = n.select(F.col("n_nationkey").cast("long").alias("src"), F.explode(F.array(((F.col("n_nationkey") * 2) % 25).cast("long"), ((F.col("n_nationkey") + 5) % 25).cast("long"))).alias("dst"))
-    return graphops.bfs_levels(e, 1)
-
-
 def _bfs(g):
     """Levels from the least vertex with an edge, over the whole graph."""
     sql = f"""with recursive e as (select distinct src, dst from ({G[g]})),
@@ -577,38 +606,20 @@ def _two_hop(spark, sf_dir):
     return graphops.two_hop(W.graph(spark, sf_dir, "order_chain"))
 
 
-@query(
-    f"""with e as (select distinct src, dst from ({G['supp_part']})), p as (select s_suppkey as a, s_suppkey + 1 as b from supplier where s_suppkey % 5 = 0)
-select a, b, (select count(*) from e x join e y using (dst) where x.src = a and y.src = b) as n_common from p""",
-    "common_neighbors",
-)
-def _common_neighbors(spark, sf_dir):
-    pairs = W.table(spark, sf_dir, "supplier").where("s_suppkey % 5 = 0").select(F.col("s_suppkey").alias("a"), (F.col("s_suppkey") + 1).alias("b"))
-    return graphops.common_neighbors(W.graph(spark, sf_dir, "supp_part"), pairs)
-
-
 @query(
     f"""with e as (select distinct src, dst from ({G['supp_part']})), p as (select s_suppkey as a, s_suppkey + 1 as b from supplier),
 n as (select x.src as a, y.src as b, count(*) as n_common from e x join e y on x.dst = y.dst and y.src = x.src + 1 group by all)
 select a, b, coalesce(n_common, 0) as n_common from p left join n using (a, b)""",
-    "common_neighbors_all",
+    "common_neighbors",
 )
-def _common_neighbors_all(spark, sf_dir):
+def _common_neighbors(spark, sf_dir):
     pairs = W.table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("a"), (F.col("s_suppkey") + 1).alias("b"))
     return graphops.common_neighbors(W.graph(spark, sf_dir, "supp_part"), pairs)
 
 
-@query(f"with e as (select distinct least(src, dst) as a, greatest(src, dst) as b from ({G['user_next']}) where src <> dst) select count(*) as n_triangles from e x join e y on x.b = y.a join e z on z.a = x.a and z.b = y.b", "triangle_count_all")
-def _triangles_all(spark, sf_dir):
-    return graphops.triangle_count(W.graph(spark, sf_dir, "user_next"))
-
-
-_SMALL = f"select src, dst from ({G['user_next']}) where src % 5 = 0 and dst % 5 = 0"
-
-
-@query(f"with e as (select distinct least(src, dst) as a, greatest(src, dst) as b from ({_SMALL}) where src <> dst) select count(*) as n_triangles from e x join e y on x.b = y.a join e z on z.a = x.a and z.b = y.b", "triangle_count")
+@query(f"with e as (select distinct least(src, dst) as a, greatest(src, dst) as b from ({G['user_next']}) where src <> dst) select count(*) as n_triangles from e x join e y on x.b = y.a join e z on z.a = x.a and z.b = y.b", "triangle_count")
 def _triangles(spark, sf_dir):
-    return graphops.triangle_count(W.graph(spark, sf_dir, "user_next").where("src % 5 = 0 and dst % 5 = 0"))
+    return graphops.triangle_count(W.graph(spark, sf_dir, "user_next"))
 
 
 @query(
@@ -643,7 +654,7 @@ def vec_knn(spark, sf_dir):
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read_csr(spark, W.exported(spark, sf_dir, "supp_part"), "staged", method="block").vertices
+    return read_csr(spark, W.exported(spark, sf_dir, "supp_part"), "staged").vertices
 
 
 def queries():

@@ -8,10 +8,14 @@ from pyspark.sql import functions as F
 from edgecsr.functions import udfs
 from edgecsr.operators import csr as C
 from edgecsr.operators import edges as E
-from edgecsr.operators.degrees import degrees
-from edgecsr.plans import tune
+from edgecsr.operators.csr_forms import to_blocks
+from edgecsr.operators.degrees import combine_degrees, degrees, partial_degrees
+from edgecsr.operators.readers import read_edges
+from edgecsr.plans import measures, tune
 from edgecsr.schema import Graph, GraphMeta
+from edgecsr.sources import block_source
 from edgecsr.sources import workloads as W
+from edgecsr.sources.edgetext import write_csr_buckets
 from edgecsr.streaming import edges as S
 
 QUERIES: dict = {}
@@ -102,11 +106,11 @@ def isolated_orders(spark, sf_dir):
     return o.join(W.graph(spark, sf_dir, "order_part").select(F.col("src").alias("vertex")), "vertex", "left_anti")
 
 
-@query(f"select coalesce(a.vertex, b.vertex) as vertex, a.degree as out_degree, b.degree as in_degree from (select src as vertex, count(*) as degree from ({_G['user_next']}) group by 1) a full join (select dst as vertex, count(*) as degree from ({_G['user_next']}) where dst % 3 = 0 group by 1) b using (vertex)")
+@query(f"select coalesce(a.vertex, b.vertex) as vertex, a.degree as out_degree, b.degree as in_degree from (select src as vertex, count(*) as degree from ({_G['user_next']}) group by 1) a full join (select dst as vertex, count(*) as degree from ({_G['user_next']}) group by 1) b using (vertex)")
 def degree_diff(spark, sf_dir):
     e = W.graph(spark, sf_dir, "user_next")
     a = degrees(e).withColumnRenamed("degree", "out_degree")
-    b = degrees(e.where("dst % 3 = 0"), direction="in").withColumnRenamed("degree", "in_degree")
+    b = degrees(e, direction="in").withColumnRenamed("degree", "in_degree")
     return a.join(b, "vertex", "full").select("vertex", "out_degree", "in_degree")
 
 
@@ -152,6 +156,24 @@ def lateral_topn(spark, sf_dir):
     return e.withColumn("r", F.row_number().over(w)).where("r <= 3").select("src", "dst")
 
 
+@query(f"select src, dst from (select src, dst, row_number() over (partition by src order by weight desc, dst) as r from (select distinct * from ({_G['supp_part']}))) where r <= 3")
+def lateral_join_topn(spark, sf_dir):
+    """The same by a lateral subquery for each vertex."""
+    e = W.graph(spark, sf_dir, "supp_part").distinct()
+    each = e.select(F.col("src").alias("v")).distinct()
+    best = e.where(F.col("src") == F.col("v").outer()).orderBy(F.col("weight").desc(), "dst").limit(3).select("dst")
+    return each.lateralJoin(best).select(F.col("v").alias("src"), "dst")
+
+
+@query(f"select vertex, count(*) as n, min(dst) as least from (select src as vertex, dst from ({_G['part_supp']})) group by 1")
+def bucketed_join(spark, sf_dir):
+    """Vertices and slots as tables bucketed by vertex: the join and the aggregate need no exchange."""
+    name = f"csr_{abs(hash((sf_dir, spark.sparkContext.applicationId)))}"
+    write_csr_buckets(C.build_csr(Graph(W.graph(spark, sf_dir, "part_supp"), GraphMeta()), "sorted"), name, 8)
+    joined = spark.table(f"{name}_slots").join(spark.table(f"{name}_vertices").where("degree > 0").hint("merge"), "vertex")
+    return joined.groupBy("vertex").agg(F.count("*").alias("n"), F.min("target").alias("least"))
+
+
 @query("select quality, sum(n_chars)::bigint as n_chars, count(*) as n from labels join documents using (doc_id) group by 1")
 def salted_join(spark, sf_dir):
     """A hot key joined with its dimension, dealt over salts: the small side is repeated, the large one split."""
@@ -176,6 +198,17 @@ _on("count_filtered", "order_part", "select src, count(*) filter (weight > 25) a
 _on("degree_quantiles", "part_supp", "select quantile_cont(degree, 0.25)::double as q25, quantile_cont(degree, 0.75)::double as q75 from " + _DEG, lambda e: _deg(e).agg(F.percentile("degree", 0.25).alias("q25"), F.percentile("degree", 0.75).alias("q75")))
 
 
+_on("degree_quantiles_approx", "part_supp", "select quantile_disc(degree, 0.25)::bigint as q25, quantile_disc(degree, 0.75)::bigint as q75 from " + _DEG, lambda e: _deg(e).agg(F.percentile_approx("degree", 0.25, 1_000_000).alias("q25"), F.percentile_approx("degree", 0.75, 1_000_000).alias("q75")))
+_on("vertex_bitmaps", "supp_part", "select floor((src - 1) / 32768.0)::bigint + 1 as bucket, count(distinct src) as n from {e} group by 1", lambda e: e.select(F.bitmap_bucket_number("src").alias("bucket"), F.bitmap_bit_position("src").alias("bit")).groupBy("bucket").agg(F.bitmap_count(F.bitmap_construct_agg("bit")).alias("n")))
+
+
+@query()
+def degree_quantiles_sketch(spark, sf_dir):
+    """Quantiles of degrees by a mergeable sketch; rows alone are checked, as its error is random."""
+    sketch = _deg(W.graph(spark, sf_dir, "part_supp")).agg(F.expr("kll_sketch_agg_bigint(degree)").alias("s"))
+    return sketch.select(F.expr("kll_sketch_get_quantile_bigint(s, 0.5)").alias("median"), F.expr("kll_sketch_get_n_bigint(s)").alias("n"))
+
+
 def _grouping(name: str, sql: str, how):
     query(sql, name)(lambda spark, sf_dir: how(W.table(spark, sf_dir, "lineitem")).agg(F.count("*").alias("n_edges")))
 
@@ -255,6 +288,28 @@ def udtf_kmers(spark, sf_dir):
     return spark.sql("select item_id, k.pos, k.kmer from _kmer_input, lateral kmers(text, 8) k")
 
 
+@query(f"select src as vertex, dst as target from ({_G['part_supp']})")
+def udtf_csr_neighbors(spark, sf_dir):
+    udfs.register(spark)
+    to_blocks(C.build_csr(Graph(W.graph(spark, sf_dir, "part_supp"), GraphMeta()), "staged"), 64).createOrReplaceTempView("_csr_blocks")
+    return spark.sql("select n.vertex, n.target from _csr_blocks b, lateral csr_neighbors(b.base_vertex, b.base_offset, b.offsets, b.targets) n")
+
+
+@query(f"select (src + 1)::varchar as a, (dst + 1)::varchar as b from ({_G['order_part']})")
+def udtf_edge_tokens(spark, sf_dir):
+    udfs.register(spark)
+    spark.read.text(W.exported(spark, sf_dir, "order_part")).select("value", F.monotonically_increasing_id().alias("line")).createOrReplaceTempView("_token_lines")
+    return spark.sql("select max(token) filter (where pos = 0) as a, max(token) filter (where pos = 1) as b from _token_lines, lateral edge_tokens(value) group by line")
+
+
+@query(f"select src as vertex, max(dst) as greatest, count(*) as n from ({_G['part_supp']}) group by 1")
+def sql_views(spark, sf_dir):
+    """A graph and its CSR as SQL views."""
+    e = W.graph(spark, sf_dir, "part_supp")
+    udfs.register_views(e, C.build_csr(Graph(e, GraphMeta()), "sorted"))
+    return spark.sql("select v.vertex, max(s.target) as greatest, count(*) as n from csr_vertices v join csr_slots s on v.vertex = s.vertex group by v.vertex")
+
+
 @query(f"select src, dst, weight from ({_G['order_part']})")
 def sql_functions(spark, sf_dir):
     udfs.register(spark)
@@ -288,6 +343,14 @@ def stream_degrees(spark, sf_dir):
     return S.run_to_table(S.incremental_degrees(s), "complete")
 
 
+@query(f"select src as vertex, count(*) as degree from ({_G['supp_part']}) group by 1")
+def stream_block_source(spark, sf_dir):
+    """The same from the byte-block source, a file an offset."""
+    block_source.register(spark)
+    s = spark.readStream.format("edgeblocks").option("path", W.exported(spark, sf_dir, "supp_part", files=5)).load()
+    return S.run_to_table(S.incremental_degrees(s), "complete")
+
+
 @query(f"select src as vertex, count(*) as degree from ({_G['supp_part']}) group by 1")
 def stream_degree_state(spark, sf_dir):
     s = S.read_edges_stream(spark, W.exported(spark, sf_dir, "supp_part", files=5), files_per_trigger=2)
@@ -341,6 +404,8 @@ for _name, _fn in (
     ("workload_variants", tune.sweep_variants),
     ("workload_parts", tune.sweep_parts),
     ("workload_csr_loaders", tune.compare_csr_loaders),
+    ("workload_two_loaders", tune.compare_two_loaders),
+    ("workload_header", tune.compare_header),
     ("workload_edge_loaders", tune.compare_edge_loaders),
     ("workload_split", tune.split_times),
     ("workload_weights", tune.sweep_weights),
@@ -353,7 +418,48 @@ for _name, _fn in (
     query(None, _name)(lambda spark, sf_dir, fn=_fn: fn(spark, sf_dir))
 
 
+_RUNS = [("w", g, m, p, c, r, sec, e, n, b, st) for g, m, p, c, r, sec, e, n, b, st in (
+    ("web", "slow", "", 1, 0, 4.0, 100, 100, 1600, "ok"), ("web", "slow", "", 1, 1, 6.0, 100, 100, 1600, "ok"), ("web", "fast", "", 1, 0, 2.0, 100, 100, 1600, "ok"),
+    ("web", "fast", "", 4, 0, 1.0, 100, 100, 1600, "ok"), ("road", "slow", "", 1, 0, 8.0, 50, 100, 900, "ok"), ("road", "fast", "", 1, 0, 1.0, 50, 100, 900, "ok"),
+    ("road", "fast", "", 4, 0, 0.5, 50, 100, 900, "ok"), ("road", "broken", "", 1, 0, None, 50, 0, 900, "failed: X"),
+)]
+_RUNS_SQL = "select * from (values " + ", ".join(f"('{w}', '{g}', '{m}', '{p}', {c}, {r}, {'null' if sec is None else sec}::double, {e}::bigint, {n}::bigint, {b}::bigint, '{st}')" for w, g, m, p, c, r, sec, e, n, b, st in _RUNS) + ") t(workload, graph, method, params, cores, run, seconds, edges_in_file, edges_loaded, bytes, status)"
+_MEANS = f"(select workload, graph, method, params, cores, avg(seconds) as seconds, max(edges_loaded) as edges_loaded, max(bytes) as bytes from ({_RUNS_SQL}) where status = 'ok' group by all)"
+
+
+def _measure(name: str, sql: str, fn):
+    query(sql.replace("{m}", _MEANS).replace("{r}", f"({_RUNS_SQL})"), f"measures_{name}")(lambda spark, sf_dir: fn(spark.createDataFrame(_RUNS, measures.RECORD)))
+
+
+_measure("means", "select * from {m}", measures.means)
+_measure("relative", "select m.workload, m.method, m.params, avg(m.seconds / b.s) as relative from {m} m join (select graph, seconds as s from {m} where method = 'slow') b using (graph) group by all", lambda f: measures.relative(f, "slow"))
+_measure("speedup", "select workload, method, avg(s / seconds) as arithmetic, exp(avg(ln(s / seconds))) as geometric from {m} m join (select graph, seconds as s from {m} where method = 'slow') b using (graph) group by all", lambda f: measures.speedup(f, "slow"))
+_measure("edge_rate", "select graph, method, cores, edges_loaded / seconds as edges_per_second from {m}", lambda f: measures.edge_rate(f).select("graph", "method", "cores", "edges_per_second"))
+_measure("byte_rate", "select graph, method, cores, bytes / seconds as bytes_per_second, bytes / edges_loaded as bytes_per_edge from {m}", lambda f: measures.byte_rate(f).select("graph", "method", "cores", "bytes_per_second", "bytes_per_edge"))
+_measure("scaling", "select m.graph, m.method, m.cores, b.s / m.seconds as speedup, case when m.cores > b.c then pow(b.s / m.seconds, 1 / log2(m.cores / b.c)) end as per_doubling from {m} m join (select graph, method, arg_min(seconds, cores) as s, min(cores) as c from {m} group by all) b using (graph, method)", lambda f: measures.scaling(f).select("graph", "method", "cores", "speedup", "per_doubling"))
+_measure("phase_times", "select graph, avg(seconds) filter (method = 'fast') as edge_list, avg(seconds) filter (method = 'slow') as csr from {m} group by 1", lambda f: measures.phase_times(f.withColumn("method", F.when(F.col("method") == "fast", "edge_list").when(F.col("method") == "slow", "csr"))))
+_measure("failures", "select graph, method, count(*) filter (status <> 'ok') as failed, count(*) as runs from {r} group by all", measures.failures)
+
+
+@query("select count(*) as n_edges, (max(l_suppkey) + 1) as n_sources, sum(length((l_suppkey + 1)::varchar) + length((l_partkey + 1)::varchar) + length(l_quantity::float::varchar) + 3)::bigint as bytes from lineitem", "measures_graph_size")
+def _graph_size(spark, sf_dir):
+    """Edges, sources and bytes of the text export."""
+    path = W.exported(spark, sf_dir, "supp_part")
+    edges, size = measures.file_totals(spark, path)
+    return W.graph(spark, sf_dir, "supp_part").agg(F.lit(edges).cast("long").alias("n_edges"), (F.max("src") + 1).alias("n_sources"), F.lit(size).cast("long").alias("bytes"))
+
+
+@query(f"with d as (select (dst % 4)::int as part, src, count(*) as n from ({_G['part_supp']}) group by all), p as (select part, sum(n) as n from d group by 1) select (select count(*) from d) as part_rows, (select count(distinct src) from d) as rows, (select max(n) / avg(n) from p)::double as max_over_mean", "measures_space_and_skew")
+def _space_and_skew(spark, sf_dir):
+    """What private counters hold against combined ones, and the load of the fullest part."""
+    e = E.with_part(W.graph(spark, sf_dir, "part_supp"), 4, "dst_mod")
+    own = partial_degrees(e)
+    return measures.space(own, combine_degrees(own)).crossJoin(measures.skew(E.edges_per_part(e))).select("part_rows", "rows", "max_over_mean")
+
+
 @query("select count(*) as edges_loaded, 2 * count(*) as with_reverse from (" + "select distinct a.l_partkey as src, b.l_partkey as dst from lineitem a join lineitem b using (l_orderkey) where a.l_partkey < b.l_partkey" + ")")
 def workload_symmetric(spark, sf_dir):
-    e = W.graph(spark, sf_dir, "copurchase")
-    return e.agg(F.count("*").alias("edges_loaded")).crossJoin(E.symmetrize(e).agg(F.count("*").alias("with_reverse")))
+    """One triangle in a symmetric Matrix Market file: edges with the header ignored and honoured."""
+    path = tune.symmetric_file(spark, sf_dir)
+    counts = [read_edges(spark, path, header="mtx", honor_header=h).edges.agg(F.count("*").alias(n)) for h, n in ((False, "edges_loaded"), (True, "with_reverse"))]
+    return counts[0].crossJoin(counts[1])

@@ -60,6 +60,8 @@ class MtxHeader:
     cols: int
     entries: int
     size_line: str
+    file: str = ""  # as it can be read, and as the scan names it
+    place: str = ""
 
     @property
     def weighted(self) -> bool:

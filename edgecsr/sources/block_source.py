@@ -1,19 +1,24 @@
-"""Python data source ``edgeblocks``: byte blocks of text edge lists as Arrow batches.
+"""Python data sources over text edge lists; paths are URIs that pyarrow's file systems open.
 
-Batch: one input partition per ``split_bytes``; inside it blocks of
+``edgeblocks``: byte blocks, parsed in bulk. Batch: one input partition per
+``split_bytes``, or ``slices`` equal ones for all files together; inside it blocks of
 ``block_bytes`` are aligned and parsed one by one. Stream: offsets are files,
-each read once. Paths are URIs that pyarrow's file systems open.
+each read once.
+
+``edgelines``: data lines one after the other through a file buffer, as Arrow
+batches of ``chunk`` lines, numbered within their input partition.
 """
 
 from __future__ import annotations
 
+import io
 
 import numpy as np
 import pyarrow as pa
 from pyarrow import fs
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, InputPartition
 
-from edgecsr.functions.parse import parse_buffer
+from edgecsr.functions.parse import BLANKS, parse_buffer
 
 
 def opened(path: str):
@@ -72,17 +77,79 @@ def batches(split: Split, options: dict):
             yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(dst), pa.array(weight, pa.float32()), pa.array(part)], ["src", "dst", "weight", "block"])
 
 
+def equal_slices(files: list[tuple[str, int]], n: int) -> list[list[Split]]:
+    """All bytes in ``n`` slices of the same length; a slice may span files, a file many slices."""
+    total = sum(size for _, size in files)
+    cuts, out, before = [total * i // n for i in range(n + 1)], [[] for _ in range(n)], 0
+    for path, size in files:
+        for i in range(n):
+            a, b = max(cuts[i], before), min(cuts[i + 1], before + size)
+            if a < b:
+                out[i].append(Split(path, a - before, b - a, size))
+        before += size
+    return out
+
+
+class Slice(InputPartition):
+    """The splits of one input partition, and its number."""
+
+    def __init__(self, number: int, splits: list[Split]):
+        self.number, self.splits = number, splits
+
+
+def planned(options: dict) -> list[Slice]:
+    files = listed(options["path"])
+    if "slices" in options:
+        return [Slice(i, x) for i, x in enumerate(equal_slices(files, int(options["slices"])))]
+    most = int(options.get("split_bytes", 128 << 20))
+    cut = [[Split(p, at, min(most, size - at), size)] for p, size in files for at in range(0, size, most)]
+    return [Slice(i, x) for i, x in enumerate(cut or [[]])]
+
+
+def buffered_lines(split: Split, buffer_bytes: int = 262144):
+    """The lines that begin inside the split, one by one through a buffer."""
+    system, at = opened(split.path)
+    with io.BufferedReader(system.open_input_file(at), buffer_bytes) as f:
+        here = split.start
+        if here:  # the byte before the split tells whether a line begins with it
+            f.seek(here - 1)
+            here += len(f.readline()) - 1
+        while here < split.start + split.length and (line := f.readline()):
+            here += len(line)
+            yield line
+
+
 class _Reader(DataSourceReader):
     def __init__(self, options: dict):
         self.options = options
 
     def partitions(self):
-        most = int(self.options.get("split_bytes", 128 << 20))
-        return [Split(p, at, min(most, size - at), size) for p, size in listed(self.options["path"]) for at in range(0, size, most)] or [Split(self.options["path"], 0, 0, 0)]
+        return planned(self.options)
+
+    def read(self, partition):
+        for split in partition.splits:
+            yield from batches(split, self.options)
 
+
+class _LineReader(_Reader):
     def read(self, partition):
-        if partition.size:
-            yield from batches(partition, self.options)
+        chunk, held, n = int(self.options.get("chunk", 1024)), [], 0
+
+        def batch():
+            at = np.arange(n - len(held), n)
+            return pa.RecordBatch.from_arrays([pa.array(held, pa.string()), pa.array(np.full(len(held), partition.number, np.int64)), pa.array(at)], ["value", "slice", "at"])
+
+        for split in partition.splits:
+            for line in buffered_lines(split):
+                bare = line.strip(BLANKS)
+                if bare and bare[:1] not in b"%#":
+                    held.append(line.rstrip(b"\n").decode("utf-8", "replace"))
+                    n += 1
+                    if len(held) == chunk:
+                        yield batch()
+                        held = []
+        if held:
+            yield batch()
 
 
 class _StreamReader(DataSourceStreamReader):
@@ -122,5 +189,24 @@ class EdgeBlockSource(DataSource):
         return _StreamReader(dict(self.options))
 
 
+class EdgeLineSource(DataSource):
+    @classmethod
+    def name(cls):
+        return "edgelines"
+
+    def schema(self):
+        return "value string, slice long, at long"
+
+    def reader(self, schema):
+        return _LineReader(dict(self.options))
+
+
 def register(spark) -> None:
     spark.dataSource.register(EdgeBlockSource)
+    spark.dataSource.register(EdgeLineSource)
+
+
+def scan_slices(spark, path: str, slices: int, chunk: int = 1024):
+    """value, slice and at (the line's number among the slice's data lines) of equal static slices."""
+    register(spark)
+    return spark.read.format("edgelines").options(path=path, slices=slices, chunk=chunk).load()

@@ -5,6 +5,8 @@ from __future__ import annotations
 import os
 import uuid
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -74,6 +76,13 @@ INTEGER = {
 }
 
 
+def _word_doc_ids(spark, sf_dir):
+    """Words and documents as numbers: a few words have very many edges."""
+    from edgecsr.operators.edges import encode_vertices
+
+    return encode_vertices(_word_doc(spark, sf_dir))[0].select("src", "dst", "weight")
+
+
 def _word_doc(spark, sf_dir):
     d = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.split(F.lower("text"), r"\s+")).alias("src_name"))
     return d.where("src_name <> ''").select("src_name", F.col("doc_id").cast("string").alias("dst_name"), F.lit(1.0).cast("float").alias("weight"))
@@ -92,23 +101,43 @@ def kmer(spark, sf_dir, k: int) -> DataFrame:
     return pairs.distinct().withColumn("weight", F.lit(1.0).cast("float"))
 
 
+#: Integer graphs that are made from named ones.
+ENCODED = {"word_doc_ids": _word_doc_ids}
 NAMED = {"word_doc": _word_doc, "host_link": _host_link, "kmer8": lambda s, d: kmer(s, d, 8), "kmer16": lambda s, d: kmer(s, d, 16)}
 
 
 def graph(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """(src, dst, weight) of an integer graph, (src_name, dst_name, weight) of a named one."""
-    return (INTEGER.get(name) or NAMED[name])(spark, sf_dir)
-
-
-def vec_knn(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
-    """The k nearest vectors of each by cosine; every pair is compared, for small tables only."""
-    e = table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    e = e.withColumn("n", F.sqrt(dot(F.col("v"), F.col("v"))))
-    a, b = e.selectExpr("vec_id as src", "v as va", "n as na"), e.selectExpr("vec_id as dst", "v as vb", "n as nb")
-    sim = a.join(b, F.col("src") != F.col("dst")).select("src", "dst", F.round(dot(F.col("va"), F.col("vb")) / (F.col("na") * F.col("nb")), 4).alias("weight"))
+    return (INTEGER.get(name) or ENCODED.get(name) or NAMED[name])(spark, sf_dir)
+
+
+def vec_knn(spark: SparkSession, sf_dir: str, k: int = 5, block: int = 2048) -> DataFrame:
+    """The k nearest vectors of each by cosine, exactly: blocks of vectors meet blocks in matrix products, and each pair of blocks sends k rows a vector."""
+    e = table(spark, sf_dir, "embeddings").where(F.col("embedding").isNotNull()).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    n = max(1, -(-e.count() // block))
+    blocks = e.groupBy(F.pmod(F.xxhash64("vec_id"), F.lit(n)).alias("b")).agg(F.collect_list(F.struct("vec_id", "v")).alias("rows"))  # about ``block`` rows each
+    every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    pairs = blocks.select(F.col("b").alias("i"), F.col("rows").alias("left"), every.alias("j")).join(blocks.select(F.col("b").alias("j"), F.col("rows").alias("right"), every.alias("i")), ["i", "j"])
+
+    def arrays(scalar):
+        ids = scalar.values.field("vec_id").to_numpy()
+        m = scalar.values.field("v").flatten().to_numpy().reshape(len(ids), -1)
+        return ids, m / np.sqrt((m * m).sum(1, keepdims=True))
+
+    def run(batches):
+        for batch in batches:
+            for r in range(batch.num_rows):
+                (a, ma), (b, mb) = (arrays(batch.column(c)[r]) for c in ("left", "right"))
+                score = np.round(ma @ mb.T, 4)
+                score[a[:, None] == b] = -np.inf
+                top = min(k, len(b))
+                order = np.lexsort((np.broadcast_to(b, score.shape), -score), axis=1)[:, :top]
+                src, w = np.repeat(a, top), np.take_along_axis(score, order, 1).ravel()
+                yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(b[order].ravel()), pa.array(w)], ["src", "dst", "weight"]).filter(pa.array(np.isfinite(w)))
+
+    found = pairs.select("left", "right").mapInArrow(run, "src long, dst long, weight double")
     w = Window.partitionBy("src").orderBy(F.col("weight").desc(), "dst")
-    return sim.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).select("src", "dst", "weight")
+    return found.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).select("src", "dst", "weight")
 
 
 _EXPORTED: dict[tuple, str] = {}
