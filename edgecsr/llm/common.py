@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from edgecsr.session import materialize, shared_dir
 
-__all__ = ["Scratch", "documents_only", "materialize", "per_worker", "read", "shared_dir"]
+__all__ = ["Scratch", "documents_only", "fresh", "materialize", "per_worker", "read", "shared_dir"]
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -40,6 +40,17 @@ def documents_only(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
+def fresh(taken: list[str], n: int) -> list[str]:
+    """``n`` column names that none of ``taken`` has, in any case."""
+    used, out = {c.lower() for c in taken}, []
+    for i in range(n):
+        name = f"in{i}"
+        while name in used:
+            name += "_"
+        out.append(name)
+    return out
+
+
 def per_worker(key, make):
     """``make()``, kept in this Python worker for its later tasks; only for values that depend on the key alone."""
     kept = sys.modules.setdefault("_edgecsr_worker", types.ModuleType("_edgecsr_worker")).__dict__

@@ -20,6 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, StructField, StructType
 
+from edgecsr.llm.common import fresh
 from edgecsr.llm.linear import LinearModel, compact, fit, layout_features, text_features
 
 FOLDS = 3
@@ -116,4 +117,4 @@ def score(docs: DataFrame, chain: Chain, columns: list[str] | None = None, thres
             cols = [pa.array([r[i] for r in p], pa.float64()) for i in range(len(names))]
             yield pa.RecordBatch.from_arrays([batch.column(i) for i in range(len(kept))] + cols + [pa.array([r[-1] >= threshold for r in p], pa.bool_())], kept + names + ["toxic"])
 
-    return docs.select(*[F.col(f"`{c}`") for c in kept], F.col("text").cast("string")).mapInArrow(run, out)
+    return docs.select(*[F.col(f"`{c}`") for c in kept], F.col("text").cast("string").alias(fresh(kept, 1)[0])).mapInArrow(run, out)
