@@ -2,6 +2,7 @@
 
 import math
 import zlib
+from collections import Counter
 
 import numpy as np
 import public_tokenizers
@@ -156,3 +157,27 @@ def test_pipeline_with_clashing_columns(spark, sf):
         assert more.where(F.col("doc_id").isNotNull() & ~F.expr(" AND ".join(f"`{n}` = concat('{n} ', doc_id)" for n in names))).isEmpty()
     assert more.where("doc_id is null").count() == 1 and more.count() > 100
     assert corpus_pipeline.pack_sequences(spark, more, sf).where("doc_id is null").count() >= 1
+
+
+def test_language_model_score_equals_a_plain_sum(spark, sf):
+    """Every token by hand: its class after the two classes before it, times its share of the class; shares of a class add up to 1."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    train = [log_bilinear.tokens(t) for i, t in texts.items() if zlib.crc32(str(i).encode()) % 10]
+    c = Counter(w for words in train for w in words)
+    lexicon, _, _, mass = log_bilinear.lexicon_of(spark.createDataFrame([(bytearray(w), n) for w, n in c.items()], "token binary, n long"))
+    cells = Counter()
+    for words in train:
+        k = [0, 0, *map(lexicon.class_of, words)]
+        cells.update((k[i] * log_bilinear.CLASSES + k[i + 1]) * log_bilinear.CLASSES + k[i + 2] for i in range(len(words)))
+    at = np.array(sorted(cells))
+    table = log_bilinear.train_vectors(at, np.array([cells[i] for i in at.tolist()], float), mass)
+    for r in log_bilinear.score(docs).collect():
+        words = log_bilinear.tokens(texts[r.doc_id])
+        k = [0, 0, *map(lexicon.class_of, words)]
+        want = sum(float(table[k[i] * log_bilinear.CLASSES + k[i + 1], k[i + 2]]) + math.log10((c[w] + 0.1) / mass[k[i + 2]]) for i, w in enumerate(words))
+        assert abs(r.score - want) < 2e-3 * max(1, abs(want) / 100)
+    shares = np.zeros(log_bilinear.CLASSES)
+    for w, n in c.items():
+        shares[lexicon.class_of(w)] += (n + 0.1) / mass[lexicon.class_of(w)]
+    assert (shares <= 1 + 1e-9).all() and shares[np.array([lexicon.class_of(w) for w in c])].min() > 0.5
