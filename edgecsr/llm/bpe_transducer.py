@@ -61,8 +61,9 @@ class Transducer:
         self.ranks, self.max_states = ranks, max_states
         self.bytes_of = {i: t for t, i in ranks.items()}
         self.prefixes = {t[:n] for t in ranks for n in range(1, len(t))} | {b""}
-        self.parts_of: dict[int, tuple[int, int] | None] = {}
-        self.apart: dict[tuple[int, int], bool] = {}
+        self.parts = {i: self._parts(i) for i in self.bytes_of}
+        self.unmade = frozenset(i for i, p in self.parts.items() if p == (-1, -1))
+        self.apart: dict[tuple[int | None, int], bool] = {}
         self._reset()
 
     def _reset(self):
@@ -71,46 +72,38 @@ class Transducer:
 
     def _parts(self, token: int) -> tuple[int, int] | None:
         """The two tokens whose merge makes this one; None for a single byte, (-1, -1) if merging never makes it."""
-        found = self.parts_of.get(token, 0)
-        if found == 0:
-            data, get, none = self.bytes_of[token], self.ranks.get, 1 << 40
-            if len(data) == 1:
-                found = None
-            else:
-                parts = [data[i : i + 1] for i in range(len(data))]
-                rank = [get(a + b, none) for a, b in zip(parts, parts[1:])]
-                while len(rank) > 1 and (least := min(rank)) < none:
-                    i = rank.index(least)
-                    parts[i : i + 2] = [parts[i] + parts[i + 1]]
-                    del rank[i]
-                    if i < len(rank):
-                        rank[i] = get(parts[i] + parts[i + 1], none)
-                    if i:
-                        rank[i - 1] = get(parts[i - 1] + parts[i], none)
-                found = (self.ranks[parts[0]], self.ranks[parts[1]]) if len(parts) == 2 else (-1, -1)
-            self.parts_of[token] = found
-        return found
+        data, get, none = self.bytes_of[token], self.ranks.get, 1 << 40
+        if len(data) == 1:
+            return None
+        parts = [data[i : i + 1] for i in range(len(data))]
+        rank = [get(a + b, none) for a, b in zip(parts, parts[1:])]
+        while len(rank) > 1 and (least := min(rank)) < none:
+            i = rank.index(least)
+            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+            del rank[i]
+            if i < len(rank):
+                rank[i] = get(parts[i] + parts[i + 1], none)
+            if i:
+                rank[i - 1] = get(parts[i - 1] + parts[i], none)
+        return (self.ranks[parts[0]], self.ranks[parts[1]]) if len(parts) == 2 else (-1, -1)
 
     def _stays_apart(self, a: int | None, b: int) -> bool:
         """Whether merging makes ``b`` at all, and leaves it and ``a`` in front of it as they are."""
-        if self._parts(b) == (-1, -1):
+        if b in self.unmade:
             return False
-        if a is None:
-            return True
-        ok = self.apart.get((a, b))
-        if ok is None:
-            if len(self.apart) > 4 * self.max_states:
-                self.apart.clear()
-            ok = self.apart[a, b] = self._never_crossed(a, b)
+        ok = a is None or self._never_crossed(a, b)
+        if len(self.apart) > 4 * self.max_states:
+            self.apart.clear()
+        self.apart[a, b] = ok
         return ok
 
     def _never_crossed(self, a: int, b: int) -> bool:
-        bytes_of, get, limit = self.bytes_of, self.ranks.get, 1 << 40
+        bytes_of, get, parts, limit = self.bytes_of, self.ranks.get, self.parts, 1 << 40
         while True:
             across = get(bytes_of[a] + bytes_of[b])
             if across is not None and across < limit:
                 return False  # this merge comes before the one that made a part of either side
-            left, right = self._parts(a), self._parts(b)
+            left, right = parts[a], parts[b]
             if left is not None and (right is None or a > b):
                 limit, a = a, left[1]
             elif right is not None:  # of equal merges the left one comes first, so it crosses before this one
@@ -121,11 +114,13 @@ class Transducer:
     def _arc(self, state: _State, byte: int) -> tuple[_State, tuple[int, ...]]:
         """One more byte: the next state and the ids that are decided now."""
         text, ends, masks = state.pending + bytes((byte,)), state.ends, state.masks
-        n, get, prefixes = len(text), self.ranks.get, self.prefixes
+        n, get, prefixes, apart = len(text), self.ranks.get, self.prefixes, self.apart
         for start in state.open:  # the longest first; just one is right
             token = get(text[start:])
-            if token is not None and self._stays_apart(ends[start][0], token):
-                break
+            if token is not None:
+                ok = apart.get((ends[start][0], token))
+                if ok or ok is None and self._stays_apart(ends[start][0], token):
+                    break
         else:
             raise ValueError(f"no token ends at byte {byte} of this table")
         common = mask = masks[start] | 1 << n
