@@ -27,12 +27,23 @@ class Scratch:
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         return materialize(df, name, self.root)
 
-    def drop(self) -> None:
-        """Call it when nothing that is still to run reads an intermediate; without a JVM at hand they stay."""
+    def _delete(self, path: str) -> None:
+        """Without a JVM at hand it stays."""
         jvm = getattr(self.spark, "_jvm", None)
         if jvm is not None:
-            path = jvm.org.apache.hadoop.fs.Path(self.root)
-            path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+            path = jvm.org.apache.hadoop.fs.Path(path)
+            system = path.getFileSystem(self.spark._jsc.hadoopConfiguration())
+            for found in system.globStatus(path) or []:
+                system.delete(found.getPath(), True)
+
+    def forget(self, *names: str) -> None:
+        """Deletes what was kept under these names; nothing that is still to run may read it."""
+        for name in names:
+            self._delete(f"{self.root}/{name}-*")
+
+    def drop(self) -> None:
+        """Deletes all; call it when nothing that is still to run reads an intermediate."""
+        self._delete(self.root)
 
 
 def documents_only(docs: DataFrame) -> DataFrame:

@@ -27,8 +27,10 @@ WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 32, 5
 #: Estimated similarity below which a pair is not looked at: 5 deviations under the threshold.
 LEAST_ESTIMATE = 0.64
-#: Members of a bucket that are compared with all others of it in the first round; four times as many in each later one.
+#: Members of a bucket that are compared with all others of it in each of the first rounds; four times as many in each later one.
 LEADERS = 1
+#: Rounds over the buckets of bands before those that are not done are dealt into finer ones.
+COARSE = 2
 #: Keys of finer buckets that are written as one batch.
 KEYS = 500_000
 _LOW = 6  # ranks below 2**-_LOW are one cell, then cells double up to rank 1, then each has length 1
@@ -272,10 +274,10 @@ def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     """id, same_set, class, n_links of every distinct (doc_id, text): ids of the least member each; see ``classes``.
 
     Copies are folded to one representative before anything is paired. In
-    every round each bucket compares some of its members (first the few that
-    meet most others, then more) with those of other classes in it; they are
+    every round each bucket compares some of its members (first the one that
+    meets most others, then more) with those of other classes in it; they are
     then done with there, and a bucket is done when its members are all of one
-    class. After the first round the members of buckets that are not done are
+    class. After the first rounds the members of buckets that are not done are
     dealt into finer ones, which keep every two that can be similar together.
     So every two representatives of a band's bucket have been compared, cannot
     be similar or are linked already.
@@ -284,20 +286,27 @@ def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     rows = scratch.keep(signed(docs, words, counts), "signed")
     folded = rows.groupBy("digest").agg(F.min("id").alias("id"))
     reps = rows.join(folded, ["digest", "id"], "left_semi").dropDuplicates(["id"])
-    reps = scratch.keep(reps.select("id", "digest", "signature", "bands"), "representatives")
+    reps = scratch.keep(reps.select("id", "signature", "bands"), "representatives")
+    members = scratch.keep(rows.select("id", "digest").distinct().join(folded.withColumnRenamed("id", "same_set"), "digest").select("id", "same_set"), "members")
+    scratch.forget("signed")
     in_bands = reps.select("id", F.explode("bands").alias("bucket"))
     shared = in_bands.groupBy("bucket").agg(F.count("*").alias("_n")).where("_n > 1")  # representatives differ, and a band is part of its hash
     company = F.sum("_n").over(Window.partitionBy("id")).alias("company")  # how many others a member meets: most at the middle of a crowd
     buckets = scratch.keep(in_bands.join(shared, "bucket").select("bucket", "id", company), "buckets")
     candidates = scratch.keep(buckets.select("id").distinct(), "candidates")
     signatures = scratch.keep(reps.select("id", "signature").join(candidates, "id"), "signatures")
+    scratch.forget("representatives")
     texts = scratch.keep(identified(docs).join(candidates, "id").dropDuplicates(["id"]), "texts")
-    links = label = None
-    buckets, leaders_each, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), LEADERS, 0
+    links = label = firsts = None
+    buckets, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), 0
     while not buckets.isEmpty():
-        order = [F.col("company").desc(), F.col("id")] if not turn else [F.col("most").desc(), F.col("id")]
+        coarse = turn < COARSE  # buckets of bands, not yet finer ones
+        order = [F.col("company").desc(), F.col("id")] if coarse else [F.col("most").desc(), F.col("id")]
         ranked = buckets.withColumn("_r", F.row_number().over(Window.partitionBy("bucket").orderBy(*order)))
-        leaders = scratch.keep(ranked.where(F.col("_r") <= leaders_each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r"), "leaders")
+        each = LEADERS * 4 ** max(0, turn - COARSE + 1)
+        leaders = scratch.keep(ranked.where(F.col("_r") <= each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r"), "leaders")
+        if not turn:
+            firsts = scratch.keep(leaders.where("_r = 1").select("bucket", F.col("leader").alias("pivot")), "firsts")
         met = buckets.join(leaders, "bucket").where("label <> _with AND size <= _most AND _size <= most")
         pairs = met.select(F.greatest("id", "leader").alias("id"), F.least("id", "leader").alias("leader")).distinct()
         found = scratch.keep(_verified(_estimated(pairs, signatures), texts, words, counts, threshold), "found")
@@ -306,13 +315,14 @@ def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
             links = found if links is None else links.union(found)
             label = components(links, scratch)
             left = left.drop("label").join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
-        buckets = scratch.keep(_mixed(scratch.keep(left.select("bucket", "id", "label", "size", "most"), "left")), "buckets")
-        if not turn:
-            firsts = leaders.where("_r = 1").select("bucket", F.col("leader").alias("pivot"))
-            members = buckets.join(firsts, "bucket").select("pivot", "id", "label").distinct()
-            buckets = scratch.keep(_mixed(scratch.keep(_refined(members, texts, words, counts, threshold), "finer")), "buckets")
-        turn, leaders_each = turn + 1, leaders_each * 4
-    members = rows.select("id", "digest").distinct().join(folded.withColumnRenamed("id", "same_set"), "digest").select("id", "same_set")
+        kept = ["bucket", "id", "label", "size", "most", *(["company"] if coarse else [])]
+        buckets = scratch.keep(_mixed(scratch.keep(left.select(*kept), "left")), f"buckets{turn}")
+        if turn == COARSE - 1:
+            crowd = buckets.join(firsts, "bucket").select("pivot", "id", "label").distinct()
+            buckets = scratch.keep(_mixed(scratch.keep(_refined(crowd, texts, words, counts, threshold), "finer")), "refined")
+            scratch.forget("finer", "buckets", f"buckets{turn}", "firsts")
+        scratch.forget("left", "leaders", f"buckets{turn - 1}")
+        turn += 1
     if links is None:
         told = members.select("id", "same_set", F.col("same_set").alias("class"), F.lit(0).cast("long").alias("n_links"))
     else:
