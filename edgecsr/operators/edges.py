@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from edgecsr.session import materialize
+
 
 def project(df: DataFrame, src: str | Column, dst: str | Column, weight: str | Column | None = None) -> DataFrame:
     """Any DataFrame as an edge list; weight 1 where there is none."""
@@ -98,9 +100,13 @@ def sample_edges(edges: DataFrame, fraction: float, seed: int = 0) -> DataFrame:
 
 
 def encode_vertices(edges: DataFrame, src: str = "src_name", dst: str = "dst_name") -> tuple[DataFrame, DataFrame]:
-    """(edges with numbers, dictionary vertex/name): names numbered in their order, without a single-task sort."""
+    """(edges with numbers, dictionary vertex/name): names numbered in their order, without a single-task sort.
+
+    The named edges are written first, so that what makes them (often a split of whole texts) runs once.
+    """
     from edgecsr.operators.scan import number_rows
 
+    edges = materialize(edges, "named")
     names = edges.select(F.explode(F.array(src, dst)).alias("name")).where("name is not null").distinct()
     dictionary = number_rows(names, ["name"], "vertex")
     a, b = dictionary.select(F.col("name").alias(src), F.col("vertex").alias("src")), dictionary.select(F.col("name").alias(dst), F.col("vertex").alias("dst"))

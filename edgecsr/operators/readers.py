@@ -122,6 +122,15 @@ def settled(graph: Graph) -> Graph:
     return Graph(edges, meta, graph.bad, graph.degrees)
 
 
+def read_edges_csv(spark: SparkSession, path: str, schema: str = "src long, dst long, weight float", sep: str = " ", comment: str = "%", mode: str = "PERMISSIVE", index_base: int = 1) -> Graph:
+    """Edges by Spark's delimited reader with a fixed schema; ``bad`` has the lines that it could not read whole, in PERMISSIVE mode."""
+    rows = spark.read.schema(f"{schema}, _line string").options(sep=sep, comment=comment, mode=mode, columnNameOfCorruptRecord="_line", columnPruning=False).csv(path)  # a line is judged by all its columns
+    weight = F.col("weight") if "weight" in rows.columns else F.lit(1.0).cast("float")
+    fine = rows.where(F.col("_line").isNull()).select((F.col("src") - index_base).alias("src"), (F.col("dst") - index_base).alias("dst"), weight.alias("weight"))
+    bad = rows.where(F.col("_line").isNotNull()).select(F.col("_line").alias("line"), F.when(F.col("src").isNull(), "no source").otherwise("not of the schema").alias("reason"))
+    return Graph(fine, GraphMeta(weighted="weight" in rows.columns), bad)
+
+
 def read_csr(spark: SparkSession, path: str, csr_method: str = "auto", order: str = "canonical", csr_parts: int = 4, **read_options) -> Csr:
     """Reading and conversion: the operation that the study times. The text is read and parsed once."""
     return build_csr(settled(read_edges(spark, path, **read_options)), csr_method, parts=csr_parts, order=order)

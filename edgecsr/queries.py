@@ -11,7 +11,7 @@ from edgecsr.operators import baselines, csr_forms, graphops
 from edgecsr.operators import csr as C
 from edgecsr.operators import edges as E
 from edgecsr.operators.degrees import combine_degrees, degree_histogram, degree_stats, degrees, log_bins, partial_degrees, top_hubs
-from edgecsr.operators.readers import read_csr, read_edges
+from edgecsr.operators.readers import read_csr, read_edges, read_edges_csv
 from edgecsr.operators.scan import exclusive_scan
 from edgecsr.plans import invariants
 from edgecsr.schema import Graph, GraphMeta
@@ -237,6 +237,16 @@ def builtin_csv_edges(spark, sf_dir):
     return out(baselines.builtin_csv(spark, W.exported(spark, sf_dir, "supp_part")))
 
 
+@query("select 'not of the schema' as kind, l as line from (values ('5 x 1'), ('6 7 8 9')) t(l) union all select 'good', '1 2 3.0'")
+def csv_corrupt_records(spark, sf_dir):
+    """Lines that do not fit the schema, beside those that do."""
+    path = f"{shared_dir(spark)}/csv-{abs(hash(sf_dir))}-{spark.sparkContext.applicationId}"
+    spark.createDataFrame([("2 3 3",), ("5 x 1",), ("6 7 8 9",), ("% note",)], "value string").write.mode("overwrite").text(path)
+    g = read_edges_csv(spark, path)
+    good = g.edges.select(F.lit("good").alias("kind"), F.concat_ws(" ", "src", "dst", "weight").alias("line"))
+    return g.bad.select(F.col("reason").alias("kind"), "line").union(good)
+
+
 @query("select count(*) as n_edges from lineitem")
 def part_counts_total(spark, sf_dir):
     return E.edges_per_part(read_edges(spark, W.exported(spark, sf_dir, "supp_part", files=7)).edges).agg(F.sum("n_edges").alias("n_edges"))
@@ -648,7 +658,11 @@ def diff_graphs(spark, sf_dir):
     return E.diff_graphs(e, e.where("src % 10 <> 0")).select("src", "dst", F.col("weight").cast("double").alias("weight"), "side")
 
 
-@query()
+@query(
+    """with e as (select vec_id, embedding::double[] as v from embeddings where embedding is not null), n as (select vec_id, v, sqrt(list_dot_product(v, v)) as l from e),
+p as (select a.vec_id as src, b.vec_id as dst, round(list_dot_product(a.v, b.v) / (a.l * b.l), 4) as weight from n a join n b on a.vec_id <> b.vec_id)
+select src, dst, weight from (select *, row_number() over (partition by src order by weight desc, dst) as r from p) where r <= 5"""
+)
 def vec_knn(spark, sf_dir):
     return W.vec_knn(spark, sf_dir)
 

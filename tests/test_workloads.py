@@ -21,3 +21,8 @@ def test_scaling_over_real_task_counts(spark, sf):
 def test_readers_are_different_plans():
     assert len({tuple(sorted(o.items())) for o in tune.READERS.values()}) == len(tune.READERS)
     assert {"R1", "R2", "R3", "R4", "R5", "R6"} == set(tune.READERS)
+
+
+def test_scaling_over_sessions_of_their_own(spark, sf):
+    rows = tune.scale_cores(spark, sf, "nation_region", (1, 2), 1).collect()
+    assert {(r.method, r.cores, r.status) for r in rows} == {(m, c, "ok") for m in ("edge_list", "csr") for c in (1, 2)}
