@@ -127,7 +127,8 @@ def read_edges_csv(spark: SparkSession, path: str, schema: str = "src long, dst
     rows = spark.read.schema(f"{schema}, _line string").options(sep=sep, comment=comment, mode=mode, columnNameOfCorruptRecord="_line", columnPruning=False).csv(path)  # a line is judged by all its columns
     weight = F.col("weight") if "weight" in rows.columns else F.lit(1.0).cast("float")
     fine = rows.where(F.col("_line").isNull()).select((F.col("src") - index_base).alias("src"), (F.col("dst") - index_base).alias("dst"), weight.alias("weight"))
-    bad = rows.where(F.col("_line").isNotNull()).select(F.col("_line").alias("line"), F.when(F.col("src").isNull(), "no source").otherwise("not of the schema").alias("reason"))
+    whole = F.concat(*[F.col(c).cast("string") for c in rows.columns if c != "_line"]).isNotNull()
+    bad = rows.where(F.col("_line").isNotNull()).select(F.col("_line").alias("line"), F.when(whole, "further columns").otherwise("not of the schema").alias("reason"))
     return Graph(fine, GraphMeta(weighted="weight" in rows.columns), bad)
 
 

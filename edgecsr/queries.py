@@ -237,7 +237,7 @@ def builtin_csv_edges(spark, sf_dir):
     return out(baselines.builtin_csv(spark, W.exported(spark, sf_dir, "supp_part")))
 
 
-@query("select 'not of the schema' as kind, l as line from (values ('5 x 1'), ('6 7 8 9')) t(l) union all select 'good', '1 2 3.0'")
+@query("select * from (values ('not of the schema', '5 x 1'), ('further columns', '6 7 8 9'), ('good', '1 2 3.0')) t(kind, line)")
 def csv_corrupt_records(spark, sf_dir):
     """Lines that do not fit the schema, beside those that do."""
     path = f"{shared_dir(spark)}/csv-{abs(hash(sf_dir))}-{spark.sparkContext.applicationId}"
