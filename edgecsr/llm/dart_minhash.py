@@ -29,8 +29,8 @@ BANDS, ROWS = 32, 5
 LEAST_ESTIMATE = 0.64
 #: Members of a bucket that are compared with all others of it in each of the first rounds; four times as many in each later one.
 LEADERS = 1
-#: Rounds over the buckets of bands before those that are not done are dealt into finer ones.
-COARSE = 2
+#: Rounds over the buckets of bands, after the one in which each member meets one leader, before those that are not done are dealt into finer ones.
+COARSE = 1
 #: Keys of finer buckets that are written as one batch.
 KEYS = 500_000
 _LOW = 6  # ranks below 2**-_LOW are one cell, then cells double up to rank 1, then each has length 1
@@ -130,7 +130,10 @@ def identified(docs: DataFrame) -> DataFrame:
 
 
 def signed(docs: DataFrame, words: int = WORDS, counts: bool = False, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """Digest of the weighted shingle set, signature and band hashes of every document with an id."""
+    """Digest of the weighted shingle set, signature and band hashes of every document with an id.
+
+    Bands are made of whole values; the signature that is kept has half of each, as unlike values agree in it once in 65,536 times.
+    """
 
     k = bands * rows
 
@@ -145,7 +148,7 @@ def signed(docs: DataFrame, words: int = WORDS, counts: bool = False, bands: int
                     digests = [hashlib.blake2b(e.tobytes() + (w.tobytes() if counts else b""), digest_size=16).digest() for e, w in held]
                     flat = pa.array(np.concatenate([band_hashes(x, bands, rows) for x in sigs]))
                     lists = pa.ListArray.from_arrays(pa.array(np.arange(len(held) + 1) * bands, pa.int32()), flat)
-                    yield pa.RecordBatch.from_arrays([ids.slice(done, len(held)), pa.array(digests, pa.binary()), pa.array([x.tobytes() for x in sigs], pa.binary()), lists], ["id", "digest", "signature", "bands"])
+                    yield pa.RecordBatch.from_arrays([ids.slice(done, len(held)), pa.array(digests, pa.binary()), pa.array([x.tobytes() for x in sigs.astype(np.uint16)], pa.binary()), lists], ["id", "digest", "signature", "bands"])
                     held, size, done = [], 0, i
 
     return identified(docs).mapInArrow(run, SIGNED)
@@ -160,7 +163,7 @@ def _estimated(pairs: DataFrame, signatures: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                a, b = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint32).reshape(batch.num_rows, -1) for i in (2, 3))
+                a, b = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint16).reshape(batch.num_rows, -1) for i in (2, 3))
                 near = pa.array((a == b).mean(1) >= LEAST_ESTIMATE)
                 yield pa.RecordBatch.from_arrays(batch.columns[:2], ["leader", "id"]).filter(near)
 
@@ -274,7 +277,8 @@ def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     """id, same_set, class, n_links of every distinct (doc_id, text): ids of the least member each; see ``classes``.
 
     Copies are folded to one representative before anything is paired. In
-    every round each bucket compares some of its members (first the one that
+    the first round each member meets one leader, which links most of a crowd. In
+    every later round each bucket compares some of its members (first the one that
     meets most others, then more) with those of other classes in it; they are
     then done with there, and a bucket is done when its members are all of one
     class. After the first rounds the members of buckets that are not done are
@@ -300,24 +304,26 @@ def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     links = label = firsts = None
     buckets, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), 0
     while not buckets.isEmpty():
-        coarse = turn < COARSE  # buckets of bands, not yet finer ones
+        coarse = turn <= COARSE  # buckets of bands, not yet finer ones
         order = [F.col("company").desc(), F.col("id")] if coarse else [F.col("most").desc(), F.col("id")]
         ranked = buckets.withColumn("_r", F.row_number().over(Window.partitionBy("bucket").orderBy(*order)))
-        each = LEADERS * 4 ** max(0, turn - COARSE + 1)
-        leaders = scratch.keep(ranked.where(F.col("_r") <= each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r"), "leaders")
+        each = LEADERS * 4 ** max(0, turn - COARSE)
+        leaders = scratch.keep(ranked.where(F.col("_r") <= each).select("bucket", F.col("id").alias("leader"), F.col("label").alias("_with"), F.col("size").alias("_size"), F.col("most").alias("_most"), "_r", *([F.col("company").alias("_company")] if coarse else [])), "leaders")
         if not turn:
             firsts = scratch.keep(leaders.where("_r = 1").select("bucket", F.col("leader").alias("pivot")), "firsts")
         met = buckets.join(leaders, "bucket").where("label <> _with AND size <= _most AND _size <= most")
+        if not turn:  # each member with one leader, the one of all its buckets that meets most others
+            met = met.groupBy("id").agg(F.max(F.struct("_company", "leader")).alias("_best")).select("id", "_best.leader")
         pairs = met.select(F.greatest("id", "leader").alias("id"), F.least("id", "leader").alias("leader")).distinct()
         found = scratch.keep(_verified(_estimated(pairs, signatures), texts, words, counts, threshold), "found")
-        left = buckets.join(leaders.select("bucket", F.col("leader").alias("id")), ["bucket", "id"], "left_anti")
+        left = buckets.join(leaders.select("bucket", F.col("leader").alias("id")), ["bucket", "id"], "left_anti") if turn else buckets
         if not found.isEmpty():
             links = found if links is None else links.union(found)
             label = components(links, scratch)
             left = left.drop("label").join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
         kept = ["bucket", "id", "label", "size", "most", *(["company"] if coarse else [])]
         buckets = scratch.keep(_mixed(scratch.keep(left.select(*kept), "left")), f"buckets{turn}")
-        if turn == COARSE - 1:
+        if turn == COARSE:
             crowd = buckets.join(firsts, "bucket").select("pivot", "id", "label").distinct()
             buckets = scratch.keep(_mixed(scratch.keep(_refined(crowd, texts, words, counts, threshold), "finer")), "refined")
             scratch.forget("finer", "buckets", f"buckets{turn}", "firsts")
