@@ -31,6 +31,8 @@ LEAST_ESTIMATE = 0.64
 LEADERS = 1
 #: Rounds over the buckets of bands, after the one in which each member meets one leader, before those that are not done are dealt into finer ones.
 COARSE = 1
+#: Ids that are broadcast at most, some 50 bytes each; beyond that both sides of the join are dealt.
+BROADCAST_IDS = 1_000_000
 #: Keys of finer buckets that are written as one batch.
 KEYS = 500_000
 _LOW = 6  # ranks below 2**-_LOW are one cell, then cells double up to rank 1, then each has length 1
@@ -300,7 +302,8 @@ def classed(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD, c
     candidates = scratch.keep(buckets.select("id").distinct(), "candidates")
     signatures = scratch.keep(reps.select("id", "signature").join(candidates, "id"), "signatures")
     scratch.forget("representatives")
-    texts = scratch.keep(identified(docs).join(candidates, "id").dropDuplicates(["id"]), "texts")
+    few = candidates.count() <= BROADCAST_IDS  # then whole texts need not travel to be left out
+    texts = scratch.keep(identified(docs).join(F.broadcast(candidates) if few else candidates, "id").dropDuplicates(["id"]), "texts")
     links = label = firsts = None
     buckets, turn = buckets.withColumns({"label": F.col("id"), "size": F.lit(0.0), "most": F.lit(0.0)}), 0
     while not buckets.isEmpty():
