@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udf, udtf
 from pyspark.sql.types import DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
-from edgecsr.functions.parse import parse_buffer
+from edgecsr.functions.parse import parse_line
 from edgecsr.schema import EDGE
 
 # types as objects: strings would need a session when this module is imported
@@ -18,8 +18,7 @@ KMER = StructType([StructField("pos", IntegerType()), StructField("kmer", String
 @udf(returnType=EDGE)
 def parse_edge_row(line):
     """One line at a time: the slow way, for comparison."""
-    src, dst, w = parse_buffer((line or "").encode(), True, 0)
-    return (int(src[0]), int(dst[0]), float(w[0])) if len(src) else None
+    return next((found for x in (line or "").encode().split(b"\n") if (found := parse_line(x, True, 0)[0])), None)
 
 
 def _parse_edges(lines: pd.Series) -> pd.DataFrame:
