@@ -115,11 +115,15 @@ def co_train(views: tuple[list, list], y: list[int], surest, texts: list[str], r
     return CoTrained(models[0], models[1], scales[0], scales[1], math.log(rate / (1 - rate)))
 
 
-POOL = "key long, content binary, metadata binary"
+#: Ids of labelled documents that are broadcast at most, 8 bytes each; beyond that both sides of the join are dealt.
+BROADCAST_IDS = 4_000_000
 
 
 def unlabelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Hashed features of every unlabelled document, documents alike in both views once."""
+    """Hashed features of every unlabelled document, and a key that is the same for documents alike in both views.
+
+    Such documents are told apart from each other nowhere, so the ranking counts them once; features are not dealt out to find them.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -127,13 +131,16 @@ def unlabelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
             metadata = [metadata_view(*m).tobytes() for m in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)))]
             yield pa.RecordBatch.from_arrays([pa.array(content, pa.binary()), pa.array(metadata, pa.binary())], ["content", "metadata"])
 
-    others = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).join(labels.select(F.col("doc_id").cast("long").alias("doc_id")), "doc_id", "left_anti")
+    told = labels.select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
+    if told.count() <= BROADCAST_IDS:  # then whole texts need not travel to be left out
+        told = F.broadcast(told)
+    others = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).join(told, "doc_id", "left_anti")
     found = others.select("text", "lang", "source", "n_chars").mapInArrow(run, "content binary, metadata binary")
-    return found.withColumn("key", F.xxhash64("content", "metadata")).dropDuplicates(["key"]).select("key", "content", "metadata")
+    return found.select(F.xxhash64("content", "metadata").alias("key"), "content", "metadata")
 
 
 def _surest_of(pool: DataFrame):
-    """Top-k of the whole pool: each task sends the ``PER_ROUND`` rows of each view and class that it is surest of, and those are ranked."""
+    """Top-k of the whole pool: each task sends the ``PER_ROUND`` keys of each view and class that it is surest of, and those are ranked, each key once."""
     bar = math.log(SURE / (1 - SURE))
 
     def surest(models, scales, used):
@@ -141,17 +148,23 @@ def _surest_of(pool: DataFrame):
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             tops: list[list] = [[] for _ in range(4)]
+            held: list[set] = [set() for _ in range(4)]
             for batch in batches:
                 keys = batch.column(0).to_pylist()
                 rows = [[np.frombuffer(x, np.uint32) for x in batch.column(i).to_pylist()] for i in (1, 2)]
                 for k in range(2):
                     margins = scales[k][0] * weights[k].margins(rows[k]) + scales[k][1]
                     for label, z in enumerate((-margins, margins)):
-                        top = tops[2 * k + label]
+                        top, have = tops[2 * k + label], held[2 * k + label]
                         for i in np.flatnonzero(z >= bar).tolist():
-                            if keys[i] not in taken:
-                                item = (float(z[i]), keys[i], rows[0][i].tobytes(), rows[1][i].tobytes())
-                                heapq.heappush(top, item) if len(top) < PER_ROUND else heapq.heappushpop(top, item)
+                            if keys[i] in taken or keys[i] in have or len(top) == PER_ROUND and (z[i], keys[i]) < top[0][:2]:
+                                continue
+                            have.add(keys[i])
+                            item = (float(z[i]), keys[i], rows[0][i].tobytes(), rows[1][i].tobytes())
+                            if len(top) < PER_ROUND:
+                                heapq.heappush(top, item)
+                            else:
+                                have.discard(heapq.heappushpop(top, item)[1])
             out = [(n, *item) for n, top in enumerate(tops) for item in top]
             cols = list(zip(*out)) or [[]] * 5
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.float64(), pa.int64(), pa.binary(), pa.binary()))], ["list", "z", "key", "content", "metadata"])
@@ -159,7 +172,9 @@ def _surest_of(pool: DataFrame):
         found = materialize(pool.mapInArrow(run, "list int, z double, key long, content binary, metadata binary"), "surest")
         views: list[list] = [[], []]
         for n in range(4):
-            for r in found.where(F.col("list") == n).orderBy(F.col("z").desc(), F.col("key").desc()).limit(PER_ROUND).collect():
+            best = [r[0] for r in found.where(F.col("list") == n).select("key", "z").groupBy("key").agg(F.max("z").alias("z")).orderBy(F.col("z").desc(), F.col("key").desc()).limit(PER_ROUND).collect()]
+            rows = {r["key"]: r for r in found.where((F.col("list") == n) & F.col("key").isin(best)).dropDuplicates(["key"]).collect()} if best else {}
+            for r in map(rows.__getitem__, best):
                 views[n // 2].append((r["key"], np.frombuffer(r["content"], np.uint32), np.frombuffer(r["metadata"], np.uint32), n % 2))
         return views
 
