@@ -39,10 +39,10 @@ from edgecsr.llm.common import documents_only, materialize
 from edgecsr.llm.shingles import mix, powers
 
 LENGTH, ANCHOR, RUN = 50, 20, 18
-#: Bytes of text in a group of documents, and in a batch of anchors; beyond so many groups they grow, as blobs would hold too little.
-GROUP_BYTES, BATCH_BYTES, MOST_GROUPS = 8 << 20, 2 << 20, 1 << 18
+#: Bytes of text in a group of documents, and in a batch of anchors, which takes some 80 times as much memory; beyond so many groups they grow, as blobs would hold too little.
+GROUP_BYTES, BATCH_BYTES, MOST_GROUPS = 8 << 20, 1 << 19, 1 << 18
 #: Regions that a task deals out together.
-FLUSH_REGIONS = 1_500_000
+FLUSH_REGIONS = 1_000_000
 #: An anchor with this many distinct regions, or this share of all, is hot; one text in ``SAMPLE`` is counted for that.
 HOT_REGIONS, HOT_ANCHORS, SAMPLE = 500_000, 100_000, 64
 _BASE = np.uint64(0xD1342543DE82EF95)
@@ -170,12 +170,14 @@ def joined(blobs: list[bytes], kinds: list) -> list[np.ndarray]:
     return [np.concatenate([p[i] for p in parts]) if parts else np.zeros(0, k) for i, k in enumerate([*KEY, "i4", *kinds])]
 
 
-def dealt(to: np.ndarray, *arrays: np.ndarray) -> Iterator[tuple[int, bytes]]:
-    """A blob of rows (doc, text, start and more) for every number in ``to``."""
+def dealt(to: np.ndarray, *arrays: np.ndarray, of: np.ndarray | None = None) -> Iterator[tuple[int, bytes]]:
+    """A blob of rows (doc, text, start and more) for every number in ``to``, which has one for each row, or for each of the rows ``of``."""
     order = np.argsort(to, kind="stable")
     cuts = np.flatnonzero(np.diff(to[order])) + 1
     for rows in np.split(order, cuts) if len(order) else []:
-        yield int(to[rows[0]]), wrap_rows(*[a[rows] for a in arrays])
+        at = int(to[rows[0]])
+        rows = rows if of is None else of[rows]
+        yield at, wrap_rows(*[a[rows] for a in arrays])
 
 
 def part_of(doc: np.ndarray, text: np.ndarray, parts: int) -> np.ndarray:
@@ -328,14 +330,19 @@ def _measured(docs: DataFrame, length: int, sample: int) -> tuple[int, np.ndarra
 
 def _anchored(docs: DataFrame, hot: np.ndarray, buckets: int, parts: int, length: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        waiting: list[tuple] = []
+        waiting: list[list[np.ndarray]] = [[] for _ in range(7)]
 
-        def flush():
-            doc, text, start, count, place, anchor, whole = (np.concatenate([w[i] for w in waiting]) for i in range(7))
+        def column(i: int) -> np.ndarray:
+            whole = np.concatenate(waiting[i])
+            waiting[i].clear()
+            return whole
+
+        def flush():  # rows are taken blob by blob, as this is the most that a task holds
+            doc, text, start, count, place, anchor, whole = map(column, range(7))
             settled, on = _settle(doc, text, start, count, place, anchor, whole)
-            rows = [(int(t % buckets), _SETTLED, b) for t, b in dealt(part_of(doc[settled], text[settled], parts), doc[settled], text[settled], start[settled], count[settled])]
-            to = (anchor[on] % np.uint64(buckets)).astype(np.int64)
-            rows += [(t, _OPEN, b) for t, b in dealt(to, doc[on], text[on], start[on], count[on], place[on], (anchor[on] >> np.uint64(32)).astype(np.uint32), whole[on])]
+            rows = [(int(t % buckets), _SETTLED, b) for t, b in dealt(part_of(doc[settled], text[settled], parts), doc, text, start, count, of=settled)]
+            to = (anchor[on] % np.uint64(buckets)).astype("i4")
+            rows += [(t, _OPEN, b) for t, b in dealt(to, doc, text, start, count, place, (anchor >> np.uint64(32)).astype(np.uint32), whole, of=on)]
             return moved(rows)
 
         n = 0
@@ -346,11 +353,12 @@ def _anchored(docs: DataFrame, hot: np.ndarray, buckets: int, parts: int, length
             of = np.searchsorted(cuts, first, "right")
             shift = np.array([h[2] for h in held]) - np.concatenate([[0], cuts[:-1]])
             doc, text = (np.array([h[i] for h in held], np.int64)[of] for i in (0, 1))
-            waiting.append((doc, text, (first + shift[of]).astype("i4"), count.astype("i4"), (place - first).astype("i4"), anchor, whole))
+            for held_column, more in zip(waiting, (doc, text, (first + shift[of]).astype("i4"), count.astype("i4"), (place - first).astype("i4"), anchor, whole)):
+                held_column.append(more)
             n += len(first)
             if n > FLUSH_REGIONS:
                 yield flush()
-                waiting, n = [], 0
+                n = 0
         if n:
             yield flush()
 
