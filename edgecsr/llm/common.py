@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import sys
 import types
 import uuid
@@ -11,7 +13,7 @@ from pyspark.sql import functions as F
 
 from edgecsr.session import materialize, shared_dir
 
-__all__ = ["Scratch", "documents_only", "fresh", "materialize", "per_worker", "read", "shared_dir"]
+__all__ = ["Scratch", "documents_only", "fresh", "materialize", "per_worker", "read", "release", "shared_dir"]
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -46,6 +48,21 @@ class Scratch:
         self._delete(self.root)
 
 
+def release(spark: SparkSession) -> None:
+    """Gives back what ended jobs and fits have left on the driver.
+
+    Spark drops broadcasts, there and on the executors, when the driver's JVM finds that nothing refers to
+    them; a driver that plans many small jobs grows its heap instead, and Python keeps freed memory.
+    """
+    gc.collect()
+    jvm = getattr(spark, "_jvm", None)
+    if jvm is not None:
+        jvm.System.gc()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None) if sys.platform == "linux" else None
+    if trim is not None:  # other C libraries have none
+        trim(0)
+
+
 def documents_only(docs: DataFrame) -> DataFrame:
     """Key and text alone; further columns, whatever their names, take no part."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

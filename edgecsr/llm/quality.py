@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, StructField, StructType
 
-from edgecsr.llm.common import fresh, materialize
+from edgecsr.llm.common import fresh, materialize, release
 from edgecsr.llm.linear import LinearModel, content_features, fit, layout_features, platt
 from edgecsr.llm.toxicity import hash_fold, labelled_sample
 
@@ -192,7 +192,10 @@ def train(docs: DataFrame, labels: DataFrame, rounds: int = ROUNDS) -> CoTrained
     told = sorted(labelled_sample(slim, labels, {"quality": F.col("quality")}, TRAIN_ROWS).select("doc_id", "text", "lang", "source", "n_chars", "quality").toLocalIterator(), key=lambda r: r[0])
     views = [content_view(r[1]) for r in told], [metadata_view(*r[2:5]) for r in told]
     surest = _surest_of(materialize(unlabelled(slim, labels), "unlabelled")) if told else lambda models, scales, used: ([], [])
-    return co_train(views, [r[5] for r in told], surest, [r[1] for r in told], rounds)
+    model = co_train(views, [r[5] for r in told], surest, [r[1] for r in told], rounds)
+    del told, views, surest
+    release(docs.sparkSession)
+    return model
 
 
 def score(docs: DataFrame, model: CoTrained, columns: list[str] | None = None, threshold: float = 0.5) -> DataFrame:

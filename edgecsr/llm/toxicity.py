@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, StructField, StructType
 
-from edgecsr.llm.common import fresh
+from edgecsr.llm.common import fresh, release
 from edgecsr.llm.linear import LinearModel, compact, fit, layout_features, text_features
 
 FOLDS = 3
@@ -97,7 +97,10 @@ def train(docs: DataFrame, labels: DataFrame, categories: dict[str, Column] | No
     wanted = categories or default_chain()
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sample = sorted(labelled_sample(slim, labels, wanted, most).select("doc_id", "text", *wanted).toLocalIterator(), key=lambda r: r[0])
-    return fit_chain([r[1] for r in sample], {n: [r[i + 2] for r in sample] for i, n in enumerate(wanted)})
+    chain = fit_chain([r[1] for r in sample], {n: [r[i + 2] for r in sample] for i, n in enumerate(wanted)})
+    del sample
+    release(docs.sparkSession)
+    return chain
 
 
 def score(docs: DataFrame, chain: Chain, columns: list[str] | None = None, threshold: float = 0.5) -> DataFrame:
